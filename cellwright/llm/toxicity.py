@@ -154,16 +154,14 @@ class ToxicityModel:
         pooled = ((a / a.sum(0))[:, :, None] * s).sum(0)
         return pooled @ w["out_w"] + w["out_b"]
 
-    def logits(self, texts: list[str]) -> np.ndarray:
-        """Highest window logit of each text; a text without words is read as one word of no characters."""
-        split = [tokens(t) or ["_"] for t in texts]
+    def windows(self, split: list[list[str]]) -> tuple[np.ndarray, np.ndarray]:
+        """Logits of all overlapping windows of the word lists, and the number of each list."""
         n = np.fromiter(map(len, split), np.int64, len(split))
         flat = self.entries([w for s in split for w in s])
         first = np.cumsum(n) - n
         count = np.maximum(1, -(-(n - WINDOW) // STRIDE) + 1)
         doc = np.repeat(np.arange(len(n)), count)
-        k = np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count)
-        start = k * STRIDE
+        start = (np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count)) * STRIDE
         lens = np.minimum(n[doc] - start, WINDOW)
         order = np.argsort(-lens, kind="stable")
         out = np.empty(len(doc), np.float32)
@@ -171,7 +169,14 @@ class ToxicityModel:
             i = order[a : a + 4096]
             place = first[doc[i]] + start[i] + np.minimum(np.arange(WINDOW)[:, None], lens[i] - 1)
             out[i] = self.window_logits(flat[place], lens[i])
-        return np.maximum.reduceat(out, np.cumsum(count) - count) if len(n) else np.zeros(0, np.float32)
+        return out, count
+
+    def logits(self, texts: list[str]) -> np.ndarray:
+        """Highest window logit of each text; a text without words is read as one unknown word."""
+        if not texts:
+            return np.zeros(0, np.float32)
+        z, count = self.windows([tokens(t) or ["_"] for t in texts])
+        return np.maximum.reduceat(z, np.cumsum(count) - count)
 
     def scores(self, texts: list[str]) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.scale * self.logits(texts).astype(np.float64) + self.shift, -30, 30)))
@@ -259,49 +264,48 @@ def gradients(m: ToxicityModel, windows: list[list[str]], weight: np.ndarray, ta
     return loss, g
 
 
-def train(texts: list[str], toxic: np.ndarray, epochs: int = 5, batch: int = 256, rate: float = 0.02, per_doc: int = 24, seed: int = 5) -> ToxicityModel:
+def train(texts: list[str], toxic: np.ndarray, share: float | None = None, epochs: int = 5, batch: int = 256, rate: float = 0.02, per_doc: int = 20, seed: int = 5) -> ToxicityModel:
     """Fits windows with their document's label, then scale and shift of the highest window on the documents.
 
-    Toxic documents also hold harmless windows; those pull such windows' scores to the base rate only, which the last step
-    allows for. After the first epochs a toxic document's windows that score low weigh little, as they tell nothing."""
+    Toxic documents also hold harmless windows. From the third epoch on, their windows far below the document's highest
+    weigh nothing, and of clean documents the highest windows are always among those read, as they decide its score.
+    share: of toxic documents where the model is to be used, if the sample has another."""
     m, rng = new_model(texts), np.random.default_rng(seed)
     split = [tokens(t) or ["_"] for t in texts]
-    spans = [(i, a) for i, s in enumerate(split) for a in (range(0, max(1, len(s) - WINDOW + STRIDE), STRIDE))]
-    doc = np.array([i for i, _ in spans])
-    # long documents give windows drawn by chance, so that a few cannot fill the sample
-    pick = np.concatenate([(w if len(w) <= per_doc else rng.choice(w, per_doc, replace=False)) for w in np.split(np.arange(len(doc)), np.flatnonzero(np.diff(doc)) + 1)]) if len(doc) else np.zeros(0, np.int64)
-    spans, doc = [spans[i] for i in pick], doc[pick]
-    target = toxic[doc].astype(np.float32)
-    mean, square, step = {}, {}, 0
-    weight = np.where(target == 1, (target == 0).sum() / max(1, target.sum()) * 0.5, 1.0)
-    steps = max(1, epochs * -(-len(spans) // batch))
+    count = np.fromiter((max(1, -(-(len(s) - WINDOW) // STRIDE) + 1) for s in split), np.int64, len(split))
+    doc = np.repeat(np.arange(len(split)), count)
+    start = (np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count)) * STRIDE
+    label, z = toxic[doc].astype(np.float32), None
+    mean, square, step, steps = {}, {}, 0, max(1, epochs * -(-int(np.minimum(count, per_doc).sum()) // batch))
     for epoch in range(epochs):
-        order = rng.permutation(len(spans))
-        for a in range(0, len(order), batch):
-            i = order[a : a + batch]
-            windows = [split[spans[k][0]][spans[k][1] : spans[k][1] + WINDOW] or ["_"] for k in i]
-            _, g = gradients(m, windows, weight[i] / weight[i].sum(), target[i])
+        # windows of long documents are drawn by chance, so that a few documents cannot fill the sample
+        draw = rng.random(len(doc))
+        if z is not None:
+            top = np.maximum.reduceat(z, np.cumsum(count) - count)[doc]
+            draw = np.where(label == 1, np.where(z > top - 1.5, draw, 2 + draw), np.where(z > top - 0.5, draw / 4, draw))
+        order = np.lexsort((draw, doc))
+        read = order[np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count) < per_doc]
+        read = rng.permutation(read[draw[read] < 2])
+        pos = max(1.0, float(label[read].sum()))
+        weight = np.where(label == 1, max(1.0, (len(read) - pos) / pos * 0.5), 1.0)
+        for a in range(0, len(read), batch):
+            i = read[a : a + batch]
+            _, g = gradients(m, [split[doc[k]][start[k] : start[k] + WINDOW] for k in i], weight[i] / weight[i].sum(), label[i])
             step += 1
-            lr = rate * min(1, step / 20) * (1 - 0.9 * step / steps)
+            lr = rate * min(1, step / 20) * max(0.05, 1 - 0.95 * step / steps)
             norm = np.sqrt(sum(float((x * x).sum()) for x in g.values()))
             for k, x in g.items():
                 x = x * min(1, 1 / max(norm, 1e-9))
                 mean[k] = 0.9 * mean.get(k, 0) + 0.1 * x
                 square[k] = 0.999 * square.get(k, 0) + 0.001 * x * x
                 m.weights[k] = (m.weights[k] - lr * (mean[k] / (1 - 0.9**step)) / (np.sqrt(square[k] / (1 - 0.999**step)) + 1e-8)).astype(np.float32)
-        if epoch >= 1 and epoch < epochs - 1:
+        if epoch >= 1:
             m.memo = {}
-            z = np.empty(len(spans), np.float32)
-            for a in range(0, len(spans), 4096):
-                part = spans[a : a + 4096]
-                z[a : a + 4096] = m.logits([" ".join(split[k][s : s + WINDOW] or ["_"]) for k, s in part])
-            top = np.full(len(texts), -np.inf)
-            np.maximum.at(top, doc, z)
-            low = (target == 1) & (z < top[doc] - 1.5)
-            weight = np.where(target == 1, np.where(low, 0.05, 2.0), 1.0)
-    m.memo = {}
-    z = np.concatenate([m.logits(texts[a : a + 500]) for a in range(0, len(texts), 500)]).astype(np.float64) if texts else np.zeros(0)
+            z = np.concatenate([m.windows(split[a : a + 500])[0] for a in range(0, len(split), 500)]) if split else np.zeros(0)
+    z = np.maximum.reduceat(z, np.cumsum(count) - count).astype(np.float64) if split else np.zeros(0)
     m.scale, m.shift = _calibrate(z, toxic)
+    if share and 0 < toxic.sum() < len(toxic):
+        m.shift += float(np.log(share / (1 - share)) - np.log(toxic.mean() / (1 - toxic.mean())))
     m.memo = {}
     return m
 
@@ -330,10 +334,11 @@ def fit(docs: DataFrame, labels: DataFrame, toxic: int = SAMPLE_TOXIC, clean: in
     id or a text teach nothing; without any usable label the model scores every document below one half."""
     y = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("y")).where("y IN (0, 1) AND doc_id IS NOT NULL")
     y = y.where(F.crc32(F.col("doc_id").cast("string")) % 5 != 0).groupBy("doc_id").agg(F.max("y").alias("y"))
+    n, ones = y.agg(F.count(F.lit(1)), F.sum("y")).first()
     chosen = y.where("y = 1").orderBy(F.xxhash64("doc_id"), "doc_id").limit(toxic).unionByName(y.where("y = 0").orderBy(F.xxhash64("doc_id"), "doc_id").limit(clean))
     rows = id_and_text(docs).join(F.broadcast(chosen), "doc_id").where("text <> ''")  # bounded by the two parameters
     rows = rows.groupBy("doc_id").agg(F.min(F.substring("text", 1, 8 * max_words)).alias("text"), F.max("y").alias("y")).orderBy("doc_id").collect()
-    return train([r["text"] for r in rows], np.array([r["y"] for r in rows], np.int64))
+    return train([r["text"] for r in rows], np.array([r["y"] for r in rows], np.int64), share=ones / n if n else None)
 
 
 def score(docs: DataFrame, model: ToxicityModel, keep: bool = False) -> DataFrame:
