@@ -2,10 +2,22 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 
-def queries() -> dict:
-    return {}
+from pyspark.sql import DataFrame, SparkSession
+
+Query = Callable[[SparkSession, str], DataFrame]
+
+
+def _parts() -> list:
+    from cellwright.plans import curation_queries
+
+    return [curation_queries]
+
+
+def queries() -> dict[str, Query]:
+    return {k: v for p in _parts() for k, v in p.QUERIES.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {k: v for p in _parts() for k, v in p.SQL.items()}
