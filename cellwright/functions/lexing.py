@@ -140,10 +140,16 @@ def with_tokens(df: DataFrame, text: str = "formula") -> DataFrame:
     return df.withColumn("tokens", F.expr(lex(SPARK, text))).withColumn("kinds", F.expr(kinds(SPARK, "tokens")))
 
 
+def key128(c: str):
+    """128-bit key of a text, empty for null. Never null: a join on it needs no null test, which Catalyst would push
+    down with the whole expression of the sketch written out in it."""
+    return F.coalesce(F.unhex(F.md5(c)), F.lit(b""))
+
+
 def with_sketch(df: DataFrame, text: str = "formula", **spec) -> DataFrame:
     """Adds sketch and its 128-bit key."""
     out = df if "kinds" in df.columns else with_tokens(df, text)
-    return out.withColumn("sketch", F.expr(sketch(SPARK, "tokens", "kinds", **spec))).withColumn("sketch_key", F.unhex(F.md5("sketch")))
+    return out.withColumn("sketch", F.expr(sketch(SPARK, "tokens", "kinds", **spec))).withColumn("sketch_key", key128("sketch"))
 
 
 def register(spark) -> None:

@@ -21,7 +21,7 @@ class SketchSpec:
 
 def _keyed(df: DataFrame, scope: str, key: str, text: str, spec: SketchSpec) -> tuple[DataFrame, list[str]]:
     if key == "text":
-        keyed = df.withColumn("sketch_key", F.unhex(F.md5(text)))
+        keyed = df.withColumn("sketch_key", lexing.key128(text))
     else:
         keyed = lexing.with_sketch(df, text, mask=spec.mask, keep_space=spec.keep_space).drop("tokens", "kinds", "sketch")
     return keyed, {"workbook": ["workbook_id", "sketch_key"], "global": ["sketch_key"]}[scope]
@@ -55,7 +55,7 @@ def seen_keys(df: DataFrame, scope: str = "workbook") -> DataFrame:
 
 def dedup_report(df: DataFrame) -> DataFrame:
     """Formulas left at each level of curation, and the ratio to the raw count."""
-    keyed = lexing.with_sketch(df).select("workbook_id", "sketch_key", F.unhex(F.md5("formula")).alias("text_key"))
+    keyed = lexing.with_sketch(df).select("workbook_id", "sketch_key", lexing.key128("formula").alias("text_key"))
     n = keyed.agg(
         F.count(F.lit(1)).alias("raw"),
         F.countDistinct("workbook_id", "text_key").alias("exact_workbook"),
