@@ -264,7 +264,7 @@ def gradients(m: ToxicityModel, windows: list[list[str]], weight: np.ndarray, ta
     return loss, g
 
 
-def train(texts: list[str], toxic: np.ndarray, share: float | None = None, epochs: int = 5, batch: int = 256, rate: float = 0.02, per_doc: int = 20, seed: int = 5) -> ToxicityModel:
+def train(texts: list[str], toxic: np.ndarray, share: float | None = None, epochs: int | None = None, batch: int | None = None, rate: float = 0.02, per_doc: int = 20, seed: int = 5) -> ToxicityModel:
     """Fits windows with their document's label, then scale and shift of the highest window on the documents.
 
     Toxic documents also hold harmless windows. From the third epoch on, their windows far below the document's highest
@@ -276,7 +276,10 @@ def train(texts: list[str], toxic: np.ndarray, share: float | None = None, epoch
     doc = np.repeat(np.arange(len(split)), count)
     start = (np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count)) * STRIDE
     label, z = toxic[doc].astype(np.float32), None
-    mean, square, step, steps = {}, {}, 0, max(1, epochs * -(-int(np.minimum(count, per_doc).sum()) // batch))
+    size = int(np.minimum(count, per_doc).sum())
+    # small samples are read more often, in smaller batches
+    epochs, batch = epochs or (5 if size > 8000 else 8), batch or min(256, max(16, size // 40))
+    mean, square, step, steps = {}, {}, 0, max(1, epochs * -(-size // batch))
     for epoch in range(epochs):
         # windows of long documents are drawn by chance, so that a few documents cannot fill the sample
         draw = rng.random(len(doc))
