@@ -16,8 +16,8 @@ from pyspark.sql.window import Window
 from .common import written
 from .suffix_dedup import packed, unpacked
 
-FIT_ROWS, BOOKS, WORDS, BEAM = 12_000, 8, 256, 4
-ROW_BLOCK, QUERY_BLOCK, RERANK = 16_384, 512, 256
+FIT_ROWS, BOOKS, WORDS, BEAM = 12_000, 16, 256, 4
+ROW_BLOCK, QUERY_BLOCK, RERANK = 16_384, 512, 512
 
 
 def usable(vectors: DataFrame) -> DataFrame:
@@ -29,7 +29,7 @@ def usable(vectors: DataFrame) -> DataFrame:
     return rows.where(F.size("v") == (sizes[0]["d"] if sizes else 0))
 
 
-def fit(sample: np.ndarray, books: int = BOOKS, words: int = WORDS, rounds: int = 6, seed: int = 3) -> np.ndarray:
+def fit(sample: np.ndarray, books: int = BOOKS, words: int = WORDS, rounds: int = 4, seed: int = 3) -> np.ndarray:
     """Codebooks (books, words, dimension): k-means on what the books before leave over."""
     rng = np.random.default_rng(seed)
     rest, out = sample.astype(np.float32).copy(), []
