@@ -6,6 +6,7 @@ import tempfile
 
 from pyspark.sql import functions as F
 
+from cellwright.functions.dialect import DUCK
 from cellwright.operators import curation, measures, models, tasks, tokenizer
 from cellwright.plans.corruption_queries import SEED
 from cellwright.plans.twins import lexed, sketched
@@ -56,12 +57,10 @@ def _prefix_mode(s, d):
     return models.prefix_mode(train, pre)
 
 
-_LOW = f", r AS (SELECT formula_id FROM b ORDER BY {tasks.hash_rank(__import__('cellwright.functions.dialect', fromlist=['DUCK']).DUCK, SEED, 'formula_id', 'split')}, formula_id LIMIT {EXAMPLES})"
+_LOW = f", r AS (SELECT formula_id FROM b ORDER BY {tasks.hash_rank(DUCK, SEED, 'formula_id', 'split')}, formula_id LIMIT {EXAMPLES})"
 
 
 def _prefix_sql() -> str:
-    from cellwright.functions.dialect import DUCK
-
     return lexed("formulas", _LOW + f", p AS (SELECT formula_id AS example_id, {tasks.prefix(DUCK, '75')} AS prefix FROM f JOIN r USING (formula_id)), n AS (SELECT formula, count(*) AS n FROM b WHERE formula_id NOT IN (SELECT formula_id FROM r) GROUP BY formula)") + """
         SELECT 'prefix-mode' AS system, example_id, CAST(rank AS INT) AS rank, formula AS candidate FROM (SELECT example_id, formula, row_number() OVER (PARTITION BY example_id ORDER BY n DESC, formula) AS rank FROM p JOIN n ON starts_with(formula, prefix)) WHERE rank <= 5"""
 

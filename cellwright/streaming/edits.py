@@ -7,8 +7,6 @@ from pyspark.sql import functions as F
 
 from cellwright.functions import lexing
 
-STATE = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
-
 
 def read_edits(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
     """Stream of files with columns workbook_id, sheet, ts, formula; the times become instants, as watermarks need."""
