@@ -137,8 +137,8 @@ def build_index(docs: DataFrame, capacity: int | None = None) -> tuple[DataFrame
 def exact_groups(docs: DataFrame) -> DataFrame:
     """doc_id, keep_id, group_size, kept, text_sha256 of every row.
 
-    Null and empty texts are equal; of rows that repeat a doc_id and text one is kept; a null doc_id is kept only where its
-    group has no other id; an empty table gives no row. A key with two different texts has a chain of two pages, told apart
+    Null and empty texts are equal; rows that repeat the doc_id that stays are all marked kept; a null doc_id is kept only
+    where its group has no other id; an empty table gives no row. A key with two different texts has a chain of two pages, told apart
     by the digest of their bytes."""
     index, _ = build_index(docs)
     rows = id_and_text(docs).select("doc_id", normalised(F.col("text")).alias("norm")).select("doc_id", F.xxhash64("norm").alias("h"), F.sha2("norm", 256).alias("text_sha256"))

@@ -17,15 +17,18 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the row with the smallest doc_id of each group of equal texts."""
-    from cellwright.llm.exact_dedup import exact_groups
+    """Keeps the row with the smallest doc_id of each group of equal texts. A row is known by its doc_id and its text's digest,
+    so rows without an id, or of one id with different texts, are judged each."""
+    from cellwright.llm.exact_dedup import exact_groups, normalised
 
-    gone = exact_groups(docs).where("NOT kept").select(F.col("doc_id").alias("__cw_id"))
-    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["__cw_id"]), "left_anti").select(*docs.columns)
+    gone = exact_groups(docs).where("NOT kept").select(F.col("doc_id").alias("__cw_id"), F.col("text_sha256").alias("__cw_gone")).distinct()
+    own = docs.withColumn("__cw_sha", F.sha2(normalised(F.coalesce(docs["text"], F.lit(""))), 256))
+    same = own["doc_id"].eqNullSafe(gone["__cw_id"]) & (own["__cw_sha"] == gone["__cw_gone"])
+    return own.join(gone, same, "left_anti").select(*docs.columns)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the smallest doc_id of each near-duplicate group."""
+    """Keeps the document with the smallest doc_id of each near-duplicate group; rows without an id are left alone."""
     from cellwright.llm.simhash import near_groups
 
     gone = near_groups(docs).where("doc_id <> component_id").select(F.col("doc_id").alias("__cw_id"))
@@ -52,7 +55,7 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 STAGES = [("toxicity", drop_toxic), ("exact_dedup", drop_exact_copies), ("simhash", drop_near_copies), ("suffix_dedup", cut_repeats), ("packing", pack_sequences)]
 
-#: learned scores and suffix runs have no SQL; tests/llm holds run() against a brute-force version
+#: learned scores and suffix runs have no SQL; tests/llm holds the stages against brute force
 ORACLE_SQL = None
 
 

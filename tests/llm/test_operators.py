@@ -328,6 +328,8 @@ def test_pipeline_stages(spark, docs, rows):
     import corpus_pipeline as c
 
     assert [n for n, _ in c.STAGES] == ["toxicity", "exact_dedup", "simhash", "suffix_dedup", "packing"]
+    kept = sorted((r["text"] or "") for r in c.drop_exact_copies(spark, docs, "").where("doc_id IS NULL").collect())
+    assert kept == ["no id"]  # the other row without an id has a copy with one
     once = docs.where("doc_id IS NOT NULL").dropDuplicates(["doc_id"])
     have = {r["doc_id"]: r["text"] or "" for r in once.collect()}
     a = c.drop_exact_copies(spark, once, "")
