@@ -27,6 +27,7 @@ LENGTH, KMER, PERIOD = 100, 24, 31
 #: a perfect difference set modulo 31: every distance is a difference of two members
 COVER = np.array([1, 5, 11, 24, 25, 27])
 BLOCK_BYTES = 2_000_000
+TASK_BYTES = 16_000_000
 LAST = (1 << 63) - 1  # where a null doc_id stands
 
 
@@ -432,7 +433,7 @@ def remove_repeats(docs: DataFrame, keep: bool = False, bucket_bytes: int = 8_00
     total = blocks.agg(F.sum("size")).first()[0] or 0
     buckets = max(partitions(spark), total // bucket_bytes)  # a bucket's memory stays as the corpus grows
     texts = blocks.select("block", F.lit(0).cast("long").alias("kind"), "blob")
-    dealt = partitions(spark)
+    dealt = max(partitions(spark), total // TASK_BYTES)  # a task's share of the blocks stays, too
 
     found = blocks.mapInArrow(_minimisers(buckets), "bucket long, block long, blob binary").repartition(dealt, "bucket").sortWithinPartitions("bucket")
     again = found.mapInArrow(_survivors, "block long, kind long, blob binary")
