@@ -202,5 +202,6 @@ def near_groups(docs: DataFrame) -> DataFrame:
     member = found.select("node", "root").unionByName(found.select(F.col("root").alias("node"), "root").distinct())
     named = member.join(nodes.withColumnRenamed("fp", "node"), "node").groupBy("root").agg(F.min("first").alias("component"))
     label = member.join(named, "root").select(F.col("node").alias("fp"), "component")
-    final = nodes.join(label, "fp", "left").select("fp", F.coalesce("component", "first").alias("component_id"))
+    # written, so that the last join stands alone in its stage and Spark can split a fingerprint that many rows share
+    final = written(nodes.join(label, "fp", "left").select("fp", F.coalesce("component", "first").alias("component_id")), "labels")
     return prints.join(final, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
