@@ -3,7 +3,9 @@
 Every vector is the sum of one codeword from each of several full-dimensional codebooks, learned on successive residuals
 of a bounded sample. Encoding keeps a beam of the best partial sums. With the codes a norm is stored, the true length
 over that of the sum. A query's inner products with all codewords make lookup tables, from which all rows are scored by
-adding table entries; the best of each block are scored again, exactly and in double precision, on the original vectors.
+adding table entries. With each row a bound of its score's error is stored: the best of each block are scored again,
+exactly and in double precision, on the original vectors, and so is every row whose bound leaves it a place among them.
+Codes are made of directions, so vectors may have any length.
 """
 
 from __future__ import annotations
@@ -48,10 +50,19 @@ def fit(sample: np.ndarray, books: int = BOOKS, words: int = WORDS, rounds: int
     return np.stack(out)
 
 
-def encode(x: np.ndarray, books: np.ndarray, beam: int = BEAM) -> tuple[np.ndarray, np.ndarray]:
-    """Codes (n, books) by beam search, and the stored norm of each vector: |x| over the length of its sum of codewords."""
+def directions(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Vectors of length 1 and the lengths. The largest coordinate is brought near 1 first, so that no square overflows."""
+    e = np.frexp(np.abs(x).max(axis=1))[1]
+    near = np.ldexp(x, -e[:, None])
+    length = np.linalg.norm(near, axis=1)
+    return near / length[:, None], np.ldexp(length, e)
+
+
+def encode(x: np.ndarray, books: np.ndarray, beam: int = BEAM) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Codes (n, books) of directions by beam search, the stored norm of each (1 over the length of its sum of codewords),
+    and the length of what its codewords, times the norm, leave over."""
     m, words, _ = books.shape
-    x = x.astype(np.float32)
+    full, x = x, x.astype(np.float32)
     rest, codes = x[:, None, :], np.zeros((len(x), 1, 0), np.uint16)
     error = (rest**2).sum(2)
     for c in books:
@@ -65,9 +76,18 @@ def encode(x: np.ndarray, books: np.ndarray, beam: int = BEAM) -> tuple[np.ndarr
         codes = np.concatenate([np.take_along_axis(codes, parent[:, :, None], 1), word[:, :, None].astype(np.uint16)], 2)
     first = error.argmin(1)
     codes = codes[np.arange(len(x)), first]
-    made = x - rest[np.arange(len(x)), first]
+    made = np.zeros_like(full)
+    for k, c in enumerate(books):
+        made += c[codes[:, k]]
     length = np.linalg.norm(made, axis=1)
-    return codes, np.where(length > 0, np.linalg.norm(x, axis=1) / np.where(length > 0, length, 1), 1).astype(np.float32)
+    norms = np.where(length > 0, 1 / np.where(length > 0, length, 1), 1).astype(np.float32)
+    return codes, norms, np.linalg.norm(full - norms[:, None].astype(np.float64) * made, axis=1)
+
+
+def slack(books: np.ndarray) -> float:
+    """How far a table score, before the stored norm, can be from its exact sum for a query of length 1."""
+    longest = np.sqrt((books.astype(np.float64) ** 2).sum(2)).max(1).sum()
+    return float((books.shape[2] + 2 * len(books) + 8) * 2.0**-23 * longest)
 
 
 def table_scores(queries: np.ndarray, books: np.ndarray, codes: np.ndarray, norms: np.ndarray) -> np.ndarray:
@@ -75,21 +95,31 @@ def table_scores(queries: np.ndarray, books: np.ndarray, codes: np.ndarray, norm
     total = np.zeros((len(queries), len(codes)), np.float32)
     for k, c in enumerate(books):
         total += (queries.astype(np.float32) @ c.T)[:, codes[:, k]]
-    return total * norms
+    return total * norms  # doubles, as norms hold the lengths of rows
+
 
+def best_of_block(q_ids, q, ids, x, scores, bound, rerank: int, k: int):
+    """For each query its k best rows of a block: query, rows, scores. scores and bound are for directions of queries.
 
-def best_of_block(q_ids, q, ids, x, scores, rerank: int, k: int):
-    """For each query its k best rows of a block after exact scoring of the rerank best: query, rows, scores."""
+    The rerank best by table are scored exactly; the k-th of them is a floor. Any other row that can reach it, by its
+    table score and bound, is scored too: first with one product in doubles, then, within its rounding, as the others."""
+    d, lengths = directions(q)
+    size = np.linalg.norm(x, axis=1)
     for i in range(len(q)):
-        s = scores[i]
-        s[ids == q_ids[i]] = -np.inf
+        mine = ids == q_ids[i]
+        s = np.where(mine, -np.inf, scores[i])
+        at = np.flatnonzero(~mine)
         if len(s) > rerank:
-            edge = np.partition(s, len(s) - rerank)[len(s) - rerank]
-            above = np.flatnonzero(s > edge)
-            at = np.concatenate([above, np.flatnonzero(s == edge)[: rerank - len(above)]])  # rows ascend by id: of equals the smaller ids
-        else:
-            at = np.arange(len(s))
-        at = at[np.isfinite(s[at])]
+            first = np.argpartition(s, len(s) - rerank)[len(s) - rerank :]
+            first = first[~mine[first]]
+            rough = (x[first] * d[i]).sum(axis=1)
+            if len(rough) >= k:
+                floor = np.partition(rough, len(rough) - k)[len(rough) - k] - 1e-12 * size[first].max()
+                # a bound that is not a number keeps its row
+                at = np.flatnonzero(~mine & ~(s + bound < floor))
+                rough = x[at] @ d[i]
+                floor = np.partition(rough, len(rough) - k)[len(rough) - k]
+                at = at[~(rough + 1e-12 * size[at] < floor - 1e-12 * size[at].max())]
         exact = (x[at] * q[i]).sum(axis=1)
         order = np.lexsort((ids[at], -exact))[:k]
         yield i, at[order], exact[order]
@@ -100,7 +130,8 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, fit_rows: int = FIT
 
     Codebooks are fitted on at most fit_rows rows, taken by the hash of their id; every row is indexed. Rows that repeat a
     vec_id are candidates each (none of them for the query of that id) and answered once each; an empty table, or one
-    without usable vectors, gives no row. Tables meet in blocks of rows and of queries; a block pair is one row."""
+    without usable vectors, gives no row. Rows beyond `rerank` a block are left out only where their error bound
+    proves them worse, so the answer is the exact one; scores beyond a double's range are infinite. Tables meet in blocks of rows and of queries; a block pair is one row."""
     spark = vectors.sparkSession
     rows = written(usable(vectors), "vectors")
     n, n_q = rows.agg(F.count(F.lit(1)), F.count(F.when(F.col("vec_id") % every == 0, 1))).first()
@@ -108,7 +139,7 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, fit_rows: int = FIT
     if not n or not n_q:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     sample = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(fit_rows).toPandas()
-    books = spark.sparkContext.broadcast(fit(np.stack(sample["v"].to_numpy())))  # a fixed size
+    books = spark.sparkContext.broadcast(fit(directions(np.stack(sample["v"].to_numpy()))[0]))  # a fixed size
     blocks, groups = -(-n // ROW_BLOCK), -(-n_q // QUERY_BLOCK)
 
     def gather(coded: bool):
@@ -126,8 +157,12 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, fit_rows: int = FIT
                 i, v = i[order], v[order]
                 more = ()
                 if coded:
-                    parts = [encode(v[a : a + 1024], books.value) for a in range(0, len(v), 1024)]
-                    more = (np.concatenate([p[0] for p in parts]).ravel(), np.concatenate([p[1] for p in parts]))
+                    d, length = directions(v)
+                    parts = [encode(d[a : a + 1024], books.value) for a in range(0, len(d), 1024)]
+                    norms, left = (np.concatenate([p[j] for p in parts]) for j in (1, 2))
+                    # what is left over, the rounding of tables and that of doubles
+                    bound = length * (left + norms * slack(books.value) + 1e-6)
+                    more = (np.concatenate([p[0] for p in parts]).ravel(), norms * length, bound)
                 yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int64()), pa.array([packed(i, v.ravel(), *more)], pa.binary())], ["no", "blob"])
 
         return run
@@ -144,10 +179,10 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, fit_rows: int = FIT
         for b in batches:
             for g, left, right in zip(*(b.column(c).to_pylist() for c in ("g", "queries", "rows"))):
                 q_ids, q = unpacked(left)
-                ids, x, codes, norms = unpacked(right)
+                ids, x, codes, norms, bound = unpacked(right)
                 q, x, codes = q.reshape(len(q_ids), -1), x.reshape(len(ids), -1), codes.reshape(len(ids), -1)
-                scores = table_scores(q, books.value, codes, norms)
-                found = list(best_of_block(q_ids, q, ids, x, scores, rerank, k))
+                scores = table_scores(directions(q)[0], books.value, codes, norms)
+                found = list(best_of_block(q_ids, q, ids, x, scores, bound, rerank, k))
                 no = np.concatenate([np.full(len(a), i) for i, a, _ in found])
                 at = np.concatenate([a for _, a, _ in found])
                 yield pa.RecordBatch.from_arrays([pa.array(q_ids[no]), pa.array(no + g * QUERY_BLOCK * 1024), pa.array(ids[at]), pa.array(np.concatenate([s for *_, s in found]))], ["query_id", "query_no", "vec_id", "score"])

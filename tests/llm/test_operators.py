@@ -283,6 +283,18 @@ def test_additive_ann(spark):
     assert search(frame.where("vec_id < 0")).count() == 0
 
 
+def test_additive_ann_is_exact_in_a_hot_group(spark):
+    from cellwright.llm.additive_ann import exact_search, search
+
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(4500, 16))
+    x[::3] = x[0] + 1e-4 * rng.normal(size=(1500, 16))
+    for scale in (1.0, 1e30):  # the second overflows single precision
+        frame = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x * scale)], "vec_id long, embedding array<double>")
+        got, want = ({(r["query_id"], r["rank"]): r["score"] / scale**2 for r in f(frame, every=100).collect()} for f in (search, exact_search))
+        assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-9 for k in want)
+
+
 def test_toxicity(spark, docs, none):
     from cellwright.llm.toxicity import fit, gradients, new_model, score, train
 
