@@ -21,11 +21,21 @@ from .common import id_and_text, text_chunks
 WINDOW, STRIDE, CHARS = 32, 16, 14
 SAMPLE_TOXIC, SAMPLE_CLEAN = 900, 1300
 _WORD = re.compile(r"\w+")
+_PART = re.compile(r"[^\W_]+|_+")
 _OOV = 0
 
 
 def tokens(text: str) -> list[str]:
-    return _WORD.findall(text.lower())
+    """Words of at most CHARS characters. Longer runs are read at underscores and, what is still longer, in pieces that
+    overlap by half, so that text without gaps is read whole."""
+    words = _WORD.findall(text.lower())
+    if max(map(len, words), default=0) <= CHARS:
+        return words
+    half, out = CHARS // 2, []
+    for w in words:
+        for p in [w] if len(w) <= CHARS else _PART.findall(w):
+            out += [p[a : a + CHARS] for a in range(0, max(1, len(p) - half), half)]
+    return out
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
@@ -99,12 +109,11 @@ class ToxicityModel:
         return self.__dict__ | {"memo": {}}
 
     def spell(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Characters (CHARS, n) of each word, its first ones and last ones where it is longer, and their numbers."""
-        cut = [w if len(w) <= CHARS else w[: CHARS - 4] + w[-4:] for w in words]
-        lens = np.fromiter(map(len, cut), np.int64, len(cut))
+        """Characters (CHARS, n) of each word, none of which is longer, and their numbers."""
+        lens = np.fromiter(map(len, words), np.int64, len(words))
         get = self.chars.get
-        flat = np.fromiter((get(c, _OOV) for w in cut for c in w), np.int64, int(lens.sum()))
-        out = np.zeros((len(cut), CHARS), np.int64)
+        flat = np.fromiter((get(c, _OOV) for w in words for c in w), np.int64, int(lens.sum()))
+        out = np.zeros((len(words), CHARS), np.int64)
         out[np.arange(CHARS) < lens[:, None]] = flat
         return out.T, lens
 
@@ -330,17 +339,17 @@ def _calibrate(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     return float(a), float(b)
 
 
-def fit(docs: DataFrame, labels: DataFrame, toxic: int = SAMPLE_TOXIC, clean: int = SAMPLE_CLEAN, max_words: int = 4000) -> ToxicityModel:
+def fit(docs: DataFrame, labels: DataFrame, toxic: int = SAMPLE_TOXIC, clean: int = SAMPLE_CLEAN) -> ToxicityModel:
     """Learns from at most `toxic` and `clean` labelled rows whose crc32(doc_id) mod 5 is not 0, by the hash of their id.
 
-    The bounds are on the sample for training only, as is max_words (whole documents are scored). Rows without a label, an
+    The bounds are on the number of rows for training only; their texts are read whole. Rows without a label, an
     id or a text teach nothing; without any usable label the model scores every document below one half."""
     y = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("y")).where("y IN (0, 1) AND doc_id IS NOT NULL")
     y = y.where(F.crc32(F.col("doc_id").cast("string")) % 5 != 0).groupBy("doc_id").agg(F.max("y").alias("y"))
     n, ones = y.agg(F.count(F.lit(1)), F.sum("y")).first()
     chosen = y.where("y = 1").orderBy(F.xxhash64("doc_id"), "doc_id").limit(toxic).unionByName(y.where("y = 0").orderBy(F.xxhash64("doc_id"), "doc_id").limit(clean))
     rows = id_and_text(docs).join(F.broadcast(chosen), "doc_id").where("text <> ''")  # bounded by the two parameters
-    rows = rows.groupBy("doc_id").agg(F.min(F.substring("text", 1, 8 * max_words)).alias("text"), F.max("y").alias("y")).orderBy("doc_id").collect()
+    rows = rows.groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y")).orderBy("doc_id").collect()
     return train([r["text"] for r in rows], np.array([r["y"] for r in rows], np.int64), share=ones / n if n else None)
 
 

@@ -335,6 +335,26 @@ def test_toxicity(spark, docs, none):
     assert all(r["score"] < 0.5 for r in score(docs, fit(docs, labels)).collect())
 
 
+def test_toxicity_reads_whole_texts(spark):
+    from cellwright.llm import toxicity
+
+    run = "".join(chr(ord("a") + i % 26) for i in range(500))
+    got = toxicity.tokens(f"{run} two_words_joined_by_underscores {'_' * 20} Short")
+    assert max(map(len, got)) <= toxicity.CHARS and got[-1] == "short" and {"two", "words", "underscores"} <= set(got)
+    assert all(any(run[a : a + 7] in w for w in got) for a in range(494))
+    assert all("".join(p[-7 if i else 0 :] for i, p in enumerate(toxicity.tokens(run[:n]))).startswith(run[: min(n, 14)]) for n in range(1, 40))
+    seen, train = [], toxicity.train
+    long = " ".join(["calm"] * 9000) + " grumfa"
+    docs = spark.createDataFrame([(i, long) for i in range(10)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, 1) for i in range(10)], "doc_id long, toxic int")
+    try:
+        toxicity.train = lambda texts, *a, **b: seen.extend(texts) or train(["x"], np.array([0]))
+        toxicity.fit(docs, labels)
+    finally:
+        toxicity.train = train
+    assert seen and all(t == long for t in seen)
+
+
 def test_pipeline_stages(spark, docs, rows):
     """The four stages after the learned one, against brute force on what each was given."""
     import corpus_pipeline as c
