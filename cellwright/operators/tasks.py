@@ -63,3 +63,24 @@ def leakage(train: DataFrame, held: DataFrame, key: str = "formula_id") -> DataF
 def document_leakage(docs: DataFrame, items: DataFrame) -> DataFrame:
     """Benchmark items whose whole text is a document's text."""
     return items.join(docs.select(F.md5("text").alias("k")).distinct(), F.md5(items["text"]) == F.col("k"), "left_semi").select("item_id")
+
+
+def passage_leakage(docs: DataFrame, items: DataFrame, most: int = 4) -> DataFrame:
+    """item_id of benchmark items whose text stands anywhere in a document.
+
+    Of an item's words between spaces all but the first and the last are whole words of such a document, too. Up to `most`
+    of them, hashed, are looked up among the runs of words of every document; what meets is compared as text. Only hashes
+    are shuffled before. Items of one or two words are compared with every document."""
+    spaces = "[ \\t\\n\\x0B\\f\\r]+"
+    texts = docs.select("text").where("text IS NOT NULL")
+    asked = items.select(F.col("text").alias("item")).where("item IS NOT NULL").distinct().withColumn("w", F.split("item", spaces))
+    asked = asked.withColumn("k", F.least(F.lit(most), F.size("w") - 2)).cache()
+    inner = asked.where("k > 0").select("item", F.xxhash64(F.slice("w", F.lit(2), F.col("k"))).alias("h"))
+    lengths = sorted(r["k"] for r in asked.where("k > 0").select("k").distinct().collect())
+    found = texts.join(asked.where("k <= 0").select("item"), F.contains("text", "item")).select("item")
+    if lengths:
+        words = texts.select(F.xxhash64("text").alias("d"), F.split("text", spaces).alias("w"))
+        runs = F.concat(*(F.expr(f"transform(sequence(1, greatest(size(w) - {k - 1}, 1)), i -> xxhash64(slice(w, i, {k})))") for k in lengths))
+        met = words.select("d", F.explode(F.array_distinct(runs)).alias("h")).join(inner, "h").select("d", "item").distinct()
+        found = found.unionByName(texts.withColumn("d", F.xxhash64("text")).join(met, "d").where(F.contains("text", "item")).select("item"))
+    return items.join(found.distinct(), items["text"] == F.col("item"), "left_semi").select("item_id")

@@ -52,6 +52,7 @@ put(
     lambda s, d: tasks.document_leakage(s.read.parquet(f"{d}/documents.parquet"), s.read.parquet(f"{d}/benchmark.parquet")),
     "SELECT item_id FROM benchmark WHERE text IN (SELECT text FROM documents)",
 )
+put("leakage_passages", lambda s, d: tasks.passage_leakage(s.read.parquet(f"{d}/documents.parquet"), s.read.parquet(f"{d}/benchmark.parquet")))
 _PICK = DUCK.at(DUCK.arr(*map(str, tasks.FRACTIONS)), f"1 + {tasks.hash_rank(DUCK, SEED, 'formula_id', 'fraction')} % {len(tasks.FRACTIONS)}")
 put(
     "completion_set",

@@ -265,3 +265,18 @@ def test_duckdb_twin(spark, name):
     cols = sorted(got.columns)
     assert cols == sorted(want.columns)
     assert sorted(map(tuple, got[cols].astype(str).values.tolist())) == sorted(map(tuple, want[cols].astype(str).values.tolist()))
+
+
+def test_passage_leakage(spark):
+    from cellwright.operators import tasks
+
+    docs = ["x alpha beta gamma delta epsilon zeta y", "prealpha beta\ngamma delta epsilon zetapost", "one two", None, "", "q  r\ts"]
+    items = ["alpha beta gamma delta epsilon zeta", "alpha beta\ngamma delta epsilon zeta", "lpha beta gamma del", "beta delta", "ne tw", "e t", "", None, "q  r\ts", "q r s", "absent words in a whole long item", "one two"]
+    d = spark.createDataFrame([(i, t) for i, t in enumerate(docs)], "doc_id long, text string")
+    q = spark.createDataFrame([(i, t) for i, t in enumerate(items)], "item_id long, text string")
+    want = [i for i, t in enumerate(items) if t is not None and any(t in x for x in docs if x is not None)]
+    assert sorted(r["item_id"] for r in tasks.passage_leakage(d, q).collect()) == want
+    d, q = (spark.read.parquet(f"/root/testdata/sf0.01/{n}.parquet") for n in ("documents", "benchmark"))
+    whole = [r["text"] for r in d.collect() if r["text"]]
+    want = sorted(r["item_id"] for r in q.collect() if any(r["text"] in x for x in whole))
+    assert want and sorted(r["item_id"] for r in tasks.passage_leakage(d, q).collect()) == want
