@@ -13,7 +13,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 
 from .common import id_and_text, mix64, ragged_index, text_chunks
-from .pieces import PieceCache, by_library, cache, load, special_strings
+from .pieces import PieceCache, by_marks, cache, load, special_strings
 
 WINDOW = 8
 
@@ -31,7 +31,7 @@ def chunk_cuts(data: np.ndarray, ends: np.ndarray, mean_bytes: int = 256) -> np.
 
 
 def _store(path: str) -> tuple[PieceCache, PieceCache]:
-    words = cache("words", path, lambda: by_library(path, False))
+    words = cache("words", path, lambda: by_marks(path))
 
     def insides(chunks: list) -> tuple[np.ndarray, np.ndarray]:
         split = [c.decode().split(" ")[1:-1] for c in chunks]

@@ -49,7 +49,7 @@ def first_fit_decreasing(lengths: np.ndarray, room: int) -> tuple[np.ndarray, np
     return bins, offsets
 
 
-def document_pieces(docs: DataFrame, path: str, pattern: str | None, room: int = 1024, end_id: int = 0) -> DataFrame:
+def document_pieces(docs: DataFrame, path: str, ranks: str | None, room: int = 1024, end_id: int = 0) -> DataFrame:
     """Pieces of at most room ids of each document with its end id: all but a document's last piece are full."""
 
     def run(batches):
@@ -57,7 +57,7 @@ def document_pieces(docs: DataFrame, path: str, pattern: str | None, room: int =
 
         for batch in batches:
             for part in text_chunks(batch):
-                n, ids = encode_texts(part.column("text").to_pylist(), path, pattern)
+                n, ids = encode_texts(part.column("text").to_pylist(), path, ranks)
                 raw, end = ids.astype("<u4").tobytes(), end_id.to_bytes(4, "little")
                 doc, start, length, crc, total, at = [], [], [], [], [], 0
                 for d, k in zip(part.column("doc_id").to_pylist(), n.tolist()):
@@ -75,13 +75,13 @@ def document_pieces(docs: DataFrame, path: str, pattern: str | None, room: int =
     return id_and_text(docs).mapInArrow(run, PIECES)
 
 
-def pack(docs: DataFrame, path: str, pattern: str | None = None, room: int = 1024, end_id: int = 0, group_pieces: int = 8192, seed: int = 7) -> DataFrame:
+def pack(docs: DataFrame, path: str, ranks: str | None = None, room: int = 1024, end_id: int = 0, group_pieces: int = 8192, seed: int = 7) -> DataFrame:
     """Pieces with sequence_id and offset: sequences of at most room ids, first-fit decreasing in groups.
 
     A piece's group is a hash of doc_id, start and checksum, so groups are even whatever the sources or copies; their
     number grows with the input, and each holds about group_pieces pieces. Null and empty texts give a piece of the end
     id alone; repeated rows are packed each; a null doc_id stays null; an empty table gives no row."""
-    pieces = written(document_pieces(docs, path, pattern, room, end_id), "pieces")
+    pieces = written(document_pieces(docs, path, ranks, room, end_id), "pieces")
     groups = max(1, -(-pieces.count() // group_pieces))
     # rows that repeat a whole document are told apart by their number within the task, so no group is hot
     number = F.monotonically_increasing_id()

@@ -38,29 +38,42 @@ def load(path: str):
     return _LOADED[path]
 
 
+#: from here on the installed libraries' character tables differ here and there
+PLAIN = "\u0530"
 _LOADED: dict[str, object] = {}
 _CACHES: dict[tuple, PieceCache] = {}
 
 
 class PieceCache:
-    """piece -> run of ids. Beyond max_entries distinct pieces it starts anew, so its memory is bounded."""
+    """piece -> run of ids. Beyond max_entries pieces or max_ids ids the half with the most hits stays, so memory is bounded."""
 
-    def __init__(self, encode_many, max_entries: int = 500_000, max_ids: int = 8_000_000):
+    def __init__(self, encode_many, max_entries: int = 200_000, max_ids: int = 4_000_000):
         self.encode_many, self.max_entries, self.max_ids = encode_many, max_entries, max_ids
-        self.clear()
-
-    def clear(self) -> None:
         self.at: dict = {}
         self.flat, self.used = np.zeros(1 << 16, np.int32), 0
-        self.start, self.len = np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
+        self.start, self.len, self.hits = np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
+
+    def _shrink(self) -> None:
+        n = len(self.at)
+        order = np.argsort(-self.hits[:n], kind="stable")[: self.max_entries // 2]
+        keep = np.sort(order[np.cumsum(self.len[order]) <= self.max_ids // 2])
+        lens, ids = self.ids(keep)
+        place = np.full(n, -1)
+        place[keep] = np.arange(len(keep))
+        self.at = {p: k for p, k in zip(self.at, place.tolist()) if k >= 0}  # entries are numbered in the order of the keys
+        self.hits[: len(keep)] = self.hits[keep] // 2
+        self.hits[len(keep) :] = 0
+        self.flat, self.used = ids.copy(), len(ids)
+        self.len[: len(keep)] = lens
+        self.start[: len(keep)] = np.cumsum(lens) - lens
 
     def _add(self, pieces: list) -> None:
         lens, ids = self.encode_many(pieces)
         n, k = len(self.at), len(pieces)
-        while self.used + len(ids) > len(self.flat):
-            self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
+        if self.used + len(ids) > len(self.flat):
+            self.flat = np.concatenate([self.flat, np.zeros(max(len(ids), len(self.flat)), np.int32)])
         while n + k > len(self.start):
-            self.start, self.len = (np.concatenate([x, np.zeros_like(x)]) for x in (self.start, self.len))
+            self.start, self.len, self.hits = (np.concatenate([x, np.zeros_like(x)]) for x in (self.start, self.len, self.hits))
         self.flat[self.used : self.used + len(ids)] = ids
         self.len[n : n + k] = lens
         self.start[n : n + k] = self.used + np.cumsum(lens) - lens
@@ -68,13 +81,15 @@ class PieceCache:
         self.at.update(zip(pieces, range(n, n + k)))
 
     def index(self, pieces: list) -> np.ndarray:
-        """Entry numbers of the pieces, new ones encoded first."""
+        """Entry numbers of the pieces, new ones encoded first. They hold until the next call."""
         if len(self.at) > self.max_entries or self.used > self.max_ids:
-            self.clear()
+            self._shrink()
         got = np.fromiter(map(self.at.get, pieces, repeat(-1)), np.int64, len(pieces))
         if len(gaps := np.flatnonzero(got < 0)):
-            self._add(list(dict.fromkeys(pieces[i] for i in gaps.tolist())))
-            got[gaps] = np.fromiter((self.at[pieces[i]] for i in gaps.tolist()), np.int64, len(gaps))
+            missing = [pieces[i] for i in gaps.tolist()]
+            self._add(list(dict.fromkeys(missing)))
+            got[gaps] = np.fromiter(map(self.at.__getitem__, missing), np.int64, len(gaps))
+        self.hits[: len(self.at)] += np.bincount(got, minlength=len(self.at))
         return got
 
     def ids(self, entries: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -90,21 +105,41 @@ def cache(kind: str, path: str, make) -> PieceCache:
     return _CACHES[kind, path]
 
 
-def by_library(path: str, spaced: bool):
-    """Encodes pieces with the tokenizers library, thousands in one call, an added token's string between each two of them.
+def by_library(path: str, ranks: str | None = None):
+    """Encodes pieces of a byte-level vocabulary with the tokenizers library, thousands in one call.
 
-    The library cuts a text at such strings before anything else, so each piece is encoded alone; no piece holds one.
-    A tuple marks the first piece of a text, which has no space before it."""
-    tok = load(path)
-    mark_id, mark = next((i, t.content) for i, t in tok.get_added_tokens_decoder().items())
-    lead = " " if spaced else ""
+    Each piece stands with its space, which begins a pre-token whatever comes before it; its ids end where its bytes end.
+    A tuple marks the first piece of a text, which has no space before it: these are encoded one after another by marks.
+    ranks: the vocabulary's pre-token pattern. Pieces below PLAIN are then merged by the same ranks in a third of the
+    time; ids follow the order of merges in such a vocabulary, so they are the library's. All others go to the library."""
+    tok, alone, sizes = load(path), by_marks(path), _token_sizes(path)
+    fast = _by_ranks(path, ranks) if ranks else None
+
+    def joined(rest: list, encode) -> tuple[np.ndarray, np.ndarray]:
+        lens, ids = [np.zeros(0, np.int64)], [np.zeros(0, np.int32)]
+        for a in range(0, len(rest), 4000):
+            part = rest[a : a + 4000]
+            ids.append(np.asarray(encode("".join(part)), np.int32))
+            ends = np.cumsum(np.fromiter((len(p.encode()) for p in part), np.int64, len(part)))
+            lens.append(np.diff(np.searchsorted(np.cumsum(sizes[ids[-1]]), ends) + 1, prepend=0))
+        return np.concatenate(lens), np.concatenate(ids)
 
     def encode_many(pieces: list) -> tuple[np.ndarray, np.ndarray]:
-        texts = [p[0] if isinstance(p, tuple) else lead + p for p in pieces]
-        joined = [mark.join(texts[i : i + 2000]) + mark for i in range(0, len(texts), 2000)]
-        ids = np.concatenate([np.asarray(tok.encode(t, add_special_tokens=False).ids, np.int32) for t in joined])
-        ends = np.flatnonzero(ids == mark_id)
-        return np.diff(ends, prepend=-1) - 1, ids[ids != mark_id]
+        way = np.fromiter((0 if isinstance(p, tuple) else 2 if fast and (p.isascii() or max(p) < PLAIN) else 1 for p in pieces), np.int8, len(pieces))
+        lens, found = np.zeros(len(pieces), np.int64), []
+        for w in (0, 1, 2):
+            at = np.flatnonzero(way == w)
+            if len(at):
+                own = [pieces[i] for i in at.tolist()]
+                n, ids = alone([p[0] for p in own]) if w == 0 else joined([f" {p}" for p in own], (lambda t: tok.encode(t, add_special_tokens=False).ids) if w == 1 else fast)
+                lens[at] = n
+                found.append((at, n, ids))
+        if len(found) == 1:
+            return lens, found[0][2]
+        out, start = np.empty(int(lens.sum()), np.int32), np.cumsum(lens) - lens
+        for at, n, ids in found:
+            out[ragged_index(start[at], n)] = ids
+        return lens, out
 
     return encode_many
 
@@ -118,16 +153,28 @@ def byte_ranks(path: str) -> dict[bytes, int]:
     return {bytes(back[c] for c in t): i for t, i in load(path).get_vocab(with_added_tokens=False).items() if t not in extra}
 
 
-def by_ranks(path: str, pattern: str):
-    """As by_library for a byte-level vocabulary whose ids follow the order of its merges: the same merges by rank."""
+def _by_ranks(path: str, pattern: str):
     import tiktoken
 
-    (mark_id, mark), *_ = ((i, t.content) for i, t in load(path).get_added_tokens_decoder().items())
-    enc = tiktoken.Encoding("pieces", pat_str=pattern, mergeable_ranks=byte_ranks(path), special_tokens={mark: mark_id})
+    return tiktoken.Encoding("pieces", pat_str=pattern, mergeable_ranks=byte_ranks(path), special_tokens={}).encode_ordinary
 
-    def encode_many(pieces: list) -> tuple[np.ndarray, np.ndarray]:
-        texts = [p[0] if isinstance(p, tuple) else " " + p for p in pieces]
-        ids = np.concatenate([np.asarray(enc.encode(mark.join(texts[i : i + 20_000]) + mark, allowed_special="all"), np.int32) for i in range(0, len(texts), 20_000)])
+
+def _token_sizes(path: str) -> np.ndarray:
+    """Bytes of each token of a byte-level vocabulary, whose characters stand for one byte each."""
+    tok = load(path)
+    return np.fromiter((len(tok.id_to_token(i) or "") for i in range(tok.get_vocab_size())), np.int64, tok.get_vocab_size())
+
+
+def by_marks(path: str):
+    """Encodes pieces with the tokenizers library, thousands in one call, an added token's string between each two of them.
+
+    The library cuts a text at such strings before anything else, so each piece is encoded alone; no piece holds one."""
+    tok = load(path)
+    mark_id, mark = next((i, t.content) for i, t in tok.get_added_tokens_decoder().items())
+
+    def encode_many(texts: list) -> tuple[np.ndarray, np.ndarray]:
+        joined = [mark.join(texts[i : i + 2000]) + mark for i in range(0, len(texts), 2000)]
+        ids = np.concatenate([np.asarray(tok.encode(t, add_special_tokens=False).ids, np.int32) for t in joined])
         ends = np.flatnonzero(ids == mark_id)
         return np.diff(ends, prepend=-1) - 1, ids[ids != mark_id]
 
@@ -153,11 +200,9 @@ def doc_pieces(texts: list[str], special: list[str]) -> tuple[list, np.ndarray,
     return out, counts, whole
 
 
-def encode_texts(texts: list[str], path: str, pattern: str | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """Number of ids of each text, and all ids, as the library gives them without special tokens added.
-
-    pattern: of a byte-level vocabulary, to merge new pieces by rank, which is faster than the library with equal ids."""
-    held = cache("ranks" if pattern else "library", path, lambda: by_ranks(path, pattern) if pattern else by_library(path, True))
+def encode_texts(texts: list[str], path: str, ranks: str | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Number of ids of each text, and all ids, as the library gives them without special tokens added; ranks: see by_library."""
+    held = cache(f"library {ranks}", path, lambda: by_library(path, ranks))
     pieces, counts, whole = doc_pieces(texts, special_strings(path))
     lens, ids = held.ids(held.index(pieces)) if pieces else (np.zeros(0, np.int64), np.zeros(0, np.int32))
     ends = np.concatenate([[0], np.cumsum(lens)])[np.concatenate([[0], np.cumsum(counts)])]

@@ -13,7 +13,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 
 from .common import id_and_text, text_chunks
-from .pieces import cache, byte_ranks, doc_pieces, load, special_strings
+from .pieces import PLAIN, byte_ranks, cache, doc_pieces, load, special_strings
 
 NO_RANK = np.int64(1 << 40)
 
@@ -102,8 +102,7 @@ def counting(path: str, pattern: str):
         entry: list[int] = []
         for k, p in enumerate(pieces):
             text = p[0] if isinstance(p, tuple) else " " + p
-            # above this code point the installed libraries' character tables differ here and there
-            found = find(text) if not text or max(text) < "԰" else [text[a:b] for _, (a, b) in pre.pre_tokenize_str(text)]
+            found = find(text) if text.isascii() or max(text) < PLAIN else [text[a:b] for _, (a, b) in pre.pre_tokenize_str(text)]
             of[k] = len(found)
             entry += [words.setdefault(w, len(words)) for w in found]
         raw = [w.encode() for w in words]
