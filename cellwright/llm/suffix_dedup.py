@@ -2,13 +2,19 @@
 
 A byte goes if a 100-byte string that covers it also starts earlier (smaller doc_id, or the same document further left).
 
-Where suffixes go: every 100-byte window has a smallest 24-byte hash (its minimiser), so equal windows share it. Runs of
-consecutive windows with one minimiser travel as one segment to the bucket of that minimiser; minimisers that occur once
-in the corpus cannot begin a repeat and stay at home. One suffix bucket at a time, an owner task concatenates its
-segments, ranks the suffixes at the positions of a difference cover modulo 31 (to a depth of 124 bytes, by doubling),
-sorts all windows by their first 31 bytes, and resolves longer ties by the ranks of the two cover positions at equal
-distance from both suffixes. Neighbours in that order that share 100 bytes form runs; all but the earliest are repeats.
-Equal segments of a block, and then of a bucket, are collapsed beforehand: their later copies are repeats throughout.
+Where suffixes go: every 100-byte window has a smallest 24-byte hash (its minimiser), so equal windows share it, and a
+suffix bucket holds the suffixes whose first 100 bytes have minimisers of one hash class. (Classes stand in for ranges of
+the order of suffixes: equal strings meet as well, without a sample of splitters.) Runs of consecutive windows with one
+minimiser form a segment. First only hashes travel: the owner of a minimiser sees each block's distinct segments. Where
+the minimiser has one segment in one place, nothing repeats; of equal segments all but the earliest repeat throughout;
+the earliest of each travels as text to its suffix bucket only if the minimiser has other segments, too. So a passage of
+any number of copies reaches a bucket once. Where a minimiser has very many different segments, as at the edge of a
+passage that stands in many documents, its windows are dealt out further by the bytes beside the minimiser.
+
+One suffix bucket at a time, an owner task concatenates its segments, ranks the suffixes at the positions of a difference
+cover modulo 31 (to a depth of 124 bytes, by doubling; each bucket has a cover sample of its own, so memory is that of a
+bucket), sorts all windows by their first 31 bytes, and resolves longer ties by the ranks of the two cover positions at
+equal distance from both suffixes. Neighbours in that order that share 100 bytes form runs; all but the earliest repeat.
 
 Texts are kept as compressed blocks of a few MB, so tasks exchange packed arrays, not rows per suffix.
 """
@@ -18,6 +24,7 @@ from __future__ import annotations
 import struct
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -27,7 +34,11 @@ LENGTH, KMER, PERIOD = 100, 24, 31
 #: a perfect difference set modulo 31: every distance is a difference of two members
 COVER = np.array([1, 5, 11, 24, 25, 27])
 BLOCK_BYTES = 2_000_000
-TASK_BYTES = 16_000_000
+TASK_BYTES = 64_000_000
+#: windows hashed at a time, and bytes of segments sorted at a time: what a worker holds beside a block
+SLICE, UNIT_BYTES = 250_000, 1_000_000
+#: a minimiser with more different segments is dealt out by the bytes beside it
+MANY, BESIDE = 1000, 16
 LAST = (1 << 63) - 1  # where a null doc_id stands
 
 
@@ -64,38 +75,75 @@ def words_at(text: np.ndarray) -> np.ndarray:
 
 
 def minimiser_runs(text: np.ndarray, lens: np.ndarray, length: int = LENGTH) -> tuple[np.ndarray, ...]:
-    """Runs of windows with one minimiser over concatenated documents: hash, document, first window, number of windows,
-    and how many places the minimiser has within the run, which are several in periodic text."""
-    empty = tuple(np.zeros(0, t) for t in (np.uint64, np.int64, np.int64, np.int64, np.int64))
-    if len(text) < length or not (lens >= length).any():
-        return empty
-    w = words_at(np.concatenate([text, np.zeros(8, np.uint8)]))
-    n = len(text) - KMER + 1
-    h = w[:n] * np.uint64(0x9E3779B97F4A7C15)
-    h ^= (w[8 : n + 8] ^ (h >> np.uint64(31))) * np.uint64(0xC2B2AE3D27D4EB4F)
-    h ^= (w[16 : n + 16] ^ (h >> np.uint64(29))) * np.uint64(0x165667B19E3779F9)
-    h ^= h >> np.uint64(32)
-    h *= np.uint64(0xD6E8FEB86659FD93)
-    # leading bits of the hash over the place: of equal hashes in a window the leftmost counts
-    place = np.uint64((1 << 31) - 1)
-    full, span, m = h, length - KMER + 1, 1
-    h = (h & ~place) | np.arange(n, dtype=np.uint64)
-    while m * 2 <= span:
-        h = np.minimum(h[:-m], h[m:])
-        m *= 2
-    h = np.minimum(h[: len(h) - (span - m)], h[span - m :]) if span > m else h
-    doc = np.flatnonzero(lens >= length)
-    first = (np.cumsum(lens) - lens)[doc]
-    count = lens[doc] - length + 1
-    at = ragged_index(first, count)
-    of = np.repeat(np.arange(len(doc)), count)
-    v = h[at]
-    head = np.flatnonzero(np.append(True, (v[1:] != v[:-1]) | (of[1:] != of[:-1])))
-    v, of = full[(v[head] & place).astype(np.int64)], of[head]
-    join = np.flatnonzero(np.append(True, (v[1:] != v[:-1]) | (of[1:] != of[:-1])))
-    times = np.diff(np.append(join, len(head)))
-    head = head[join]
-    return v[join], doc[of[join]], at[head], np.diff(np.append(head, len(at))), times
+    """Runs of windows with one minimiser in one place over concatenated documents: hash, document, first window, number
+    of windows, place. A slice of windows is read at a time; a run ends at its end."""
+    ends = np.cumsum(lens)
+    begin = ends - lens
+    out = []
+    for low in range(0, len(text) - length + 1, SLICE):
+        part = text[low : low + SLICE + length - 1]
+        d = np.arange(np.searchsorted(ends, low, side="right"), np.searchsorted(begin, low + SLICE))
+        first = np.maximum(begin[d], low)
+        count = np.minimum(ends[d] - length + 1, low + SLICE) - first
+        d, first, count = d[count > 0], first[count > 0], count[count > 0]
+        if not len(d):
+            continue
+        w = words_at(np.concatenate([part, np.zeros(8, np.uint8)]))
+        n = len(part) - KMER + 1
+        h = w[:n] * np.uint64(0x9E3779B97F4A7C15)
+        h ^= (w[8 : n + 8] ^ (h >> np.uint64(31))) * np.uint64(0xC2B2AE3D27D4EB4F)
+        h ^= (w[16 : n + 16] ^ (h >> np.uint64(29))) * np.uint64(0x165667B19E3779F9)
+        h ^= h >> np.uint64(32)
+        h *= np.uint64(0xD6E8FEB86659FD93)
+        # leading bits of the hash over the place: of equal hashes in a window the leftmost counts
+        mask = np.uint64((1 << 31) - 1)
+        full, span, m = h, length - KMER + 1, 1
+        h = (h & ~mask) | np.arange(n, dtype=np.uint64)
+        while m * 2 <= span:
+            h = np.minimum(h[:-m], h[m:])
+            m *= 2
+        h = np.minimum(h[: len(h) - (span - m)], h[span - m :]) if span > m else h
+        v = h[ragged_index(first - low, count)]
+        at = np.cumsum(count) - count  # windows of a document lie together
+        new = np.append(True, v[1:] != v[:-1])
+        new[at] = True
+        head = np.flatnonzero(new)
+        of = np.searchsorted(at, head, side="right") - 1
+        place = (v[head] & mask).astype(np.int64)
+        out.append((full[place], d[of], first[of] + head - at[of], np.diff(np.append(head, len(v))), low + place))
+    empty = (np.zeros(0, np.uint64), *(np.zeros(0, np.int64) for _ in range(4)))
+    return tuple(map(np.concatenate, zip(*out))) if out else empty
+
+
+def segments_of(text: np.ndarray, lens: np.ndarray) -> tuple[tuple[np.ndarray, ...], np.ndarray]:
+    """Runs, and the first run of each segment: consecutive runs of one document whose minimisers have one hash."""
+    runs = minimiser_runs(text, lens)
+    h, doc, first, count, _ = runs
+    after = first[:-1] + count[:-1] == first[1:]
+    return runs, np.flatnonzero(np.append(True, (h[1:] != h[:-1]) | (doc[1:] != doc[:-1]) | ~after))[: len(h)]
+
+
+def segment_table(text: np.ndarray, lens: np.ndarray):
+    """Of each segment: hash of its minimiser, hash of its bytes, document, first window, number of windows, first run."""
+    from xxhash import xxh3_64_intdigest
+
+    runs, head = segments_of(text, lens)
+    h, doc, first, count, _ = runs
+    total = np.concatenate([[0], np.cumsum(count)])
+    n = total[np.append(head[1:], len(h))] - total[head]
+    view, begin = memoryview(text), first[head]
+    own = np.fromiter((xxh3_64_intdigest(view[a:b]) for a, b in zip(begin.tolist(), (begin + n + LENGTH - 1).tolist())), np.uint64, len(head))
+    return runs, (h[head], own, doc[head], begin, n, head)
+
+
+def first_equal(*keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Order that brings equal entries together, each group in the order given, and where groups begin in it."""
+    order = np.lexsort(keys[::-1])
+    new = np.zeros(len(order), bool)
+    new[:1] = True
+    for k in keys:
+        new[1:] |= k[order[1:]] != k[order[:-1]]
+    return order, np.flatnonzero(new)
 
 
 def bucket_of(h: np.ndarray, buckets: int) -> np.ndarray:
@@ -222,10 +270,14 @@ def repeated_windows(text: np.ndarray, starts: np.ndarray, length: int = LENGTH)
 
 
 def _grouped(batches, key: str):
-    """(value, rows) for each run of equal key values, rows as dicts, over batches sorted by key."""
+    """(value, rows) for each run of equal key values, rows as dicts, over batches sorted by key; blobs are not copied."""
     held, rows = None, []
     for batch in batches:
-        for r in batch.to_pylist():
+        names = batch.schema.names
+        columns = [batch.column(c) if c == "blob" else batch.column(c).to_pylist() for c in names]
+        for r in zip(*columns):
+            r = dict(zip(names, r))
+            r["blob"] = r["blob"].as_buffer()
             if rows and r[key] != held:
                 yield held, rows
                 rows = []
@@ -244,7 +296,6 @@ def blocks_of(docs: DataFrame) -> DataFrame:
     frame = docs.select(F.coalesce(F.col("text"), F.lit("")).alias(text), order.alias("__cw_order"), F.struct(*(docs[c] for c in docs.columns)).dropFields("text").alias("__cw_rest"))
 
     def run(batches):
-        import pyarrow as pa
         from pyspark import TaskContext
 
         task, k = TaskContext.get().partitionId(), 0
@@ -270,149 +321,210 @@ def blocks_of(docs: DataFrame) -> DataFrame:
 
 
 def _batch(names: list[str], *columns):
-    import pyarrow as pa
-
     return pa.RecordBatch.from_arrays([pa.array(c, pa.binary() if n == "blob" else pa.int64()) for n, c in zip(names, columns)], names)
 
 
 def _minimisers(buckets: int):
-    """(bucket, block, distinct minimisers and whether each has several runs) of every block."""
+    """(bucket, block, each distinct segment: hash of its minimiser, of its bytes, doc_id, number, whether of several runs)."""
 
     def run(batches):
         for batch in batches:
-            for block, blob in zip(batch.column("block").to_pylist(), batch.column("blob").to_pylist()):
-                _, _, lens, text = unpacked(_unzip(blob))
-                v, _, _, _, times = minimiser_runs(text, lens)
-                h, at = np.unique(v, return_inverse=True)
-                c = np.bincount(at, times, minlength=len(h))
-                b = bucket_of(h, buckets)
-                order = np.argsort(b, kind="stable")
-                own, first = np.unique(b[order], return_index=True)
-                blobs = [packed(h[i], (c[i] > 1).astype(np.uint8)) for i in np.split(order, first[1:])] if len(own) else []
-                yield _batch(["bucket", "block", "blob"], own.tolist(), [block] * len(own), blobs)
+            for block, blob in zip(batch.column("block").to_pylist(), batch.column("blob")):
+                _, key, lens, text = unpacked(_unzip(blob.as_buffer()))
+                runs, (h, own, doc, _, _, head) = segment_table(text, lens)
+                order, group = first_equal(h, own)
+                several = np.diff(np.append(head, len(runs[0]))) > 1
+                lead = order[group]
+                again = np.maximum.reduceat(several[order], group) if len(group) else several
+                b = bucket_of(h[lead], buckets)
+                by = np.lexsort((lead, b))
+                own_b, first = np.unique(b[by], return_index=True)
+                parts = np.split(by, first[1:]) if len(own_b) else []
+                blobs = [_zip(packed(h[lead[i]], own[lead[i]], key[doc[lead[i]]], lead[i].astype(np.int32), again[i].astype(np.uint8))) for i in parts]
+                yield _batch(["bucket", "block", "blob"], own_b.tolist(), [block] * len(own_b), blobs)
 
     return run
 
 
-def _survivors(batches):
-    """(block, blob): those of a block's minimisers that occur again, in it or elsewhere."""
-    for _, rows in _grouped(batches, "bucket"):
-        parts = [unpacked(r["blob"]) for r in rows]
-        h = np.concatenate([p[0] for p in parts])
-        again = np.concatenate([p[1] for p in parts]).astype(bool)
-        order = np.argsort(h, kind="stable")
-        same = h[order[1:]] == h[order[:-1]]
-        again[order[1:][same]] = True
-        again[order[:-1][same]] = True
-        ends = np.cumsum([len(p[0]) for p in parts])
-        kept = [(r["block"], p[0][a]) for r, p, a in zip(rows, parts, np.split(again, ends[:-1])) if a.any()]
-        yield _batch(["block", "kind", "blob"], [k for k, _ in kept], [1] * len(kept), [packed(x) for _, x in kept])
-
-
-def _first_copies(segments: list[bytes]) -> np.ndarray:
-    """Index of the first equal segment of each."""
-    seen: dict[bytes, int] = {}
-    return np.fromiter((seen.setdefault(s, i) for i, s in enumerate(segments)), np.int64, len(segments))
+#: what becomes of a segment: its text is wanted; it repeats; its text is wanted, dealt out further
+WANTED, REPEATS, DEALT = 1, 2, 3
+
+
+def _verdicts(many: int):
+    """(block, blob): numbers of a block's segments and what becomes of them; nothing for those that occur once."""
+
+    def run(batches):
+        for _, rows in _grouped(batches, "bucket"):
+            parts = [unpacked(_unzip(r["blob"])) for r in rows]
+            h, own, key, number, several = (np.concatenate([p[i] for p in parts]) for i in range(5))
+            of = np.repeat(np.arange(len(rows)), [len(p[0]) for p in parts])
+            block = np.array([r["block"] for r in rows])[of]
+            order, _ = first_equal(h, own, key, block)
+            h, own = h[order], own[order]
+            new_h = np.append(True, h[1:] != h[:-1])
+            lead = new_h | np.append(True, own[1:] != own[:-1])
+            begin = np.flatnonzero(new_h)
+            kinds = np.add.reduceat(lead, begin, dtype=np.int64)  # different segments of a minimiser
+            kinds = np.repeat(kinds, np.diff(np.append(begin, len(h))))
+            status = np.where(~lead, REPEATS, np.where(kinds > many, DEALT, np.where((kinds > 1), WANTED, 0))).astype(np.uint8)
+            # a lone segment can repeat within itself, if the minimiser has several places in it
+            begin = np.flatnonzero(lead)
+            inner = np.maximum.reduceat(several[order], begin)
+            status[begin[(status[begin] == 0) & (inner > 0)]] = WANTED
+            back = np.empty(len(order), np.uint8)
+            back[order] = status
+            ends = np.cumsum([len(p[0]) for p in parts])
+            kept = [(r["block"], n[x > 0], x[x > 0]) for r, n, x in zip(rows, np.split(number, ends[:-1]), np.split(back, ends[:-1])) if x.any()]
+            yield _batch(["block", "kind", "blob"], [k for k, *_ in kept], [1] * len(kept), [packed(n, x) for _, n, x in kept])
+
+    return run
+
+
+def _dealt(text: np.ndarray, runs, of: np.ndarray):
+    """Class, document, first window and number of windows of the parts of runs `of`. Equal windows have their minimiser at
+    one distance from their start: windows with at least BESIDE bytes before it share these, the others what follows it."""
+    from xxhash import xxh3_64_intdigest
+
+    view, out = memoryview(text), []
+    for h, d, a, n, p in zip(*(x[of].tolist() for x in runs)):
+        split = min(max(p - BESIDE + 1 - a, 0), n)  # so many windows have the bytes before
+        if split:
+            out.append((xxh3_64_intdigest(view[p - BESIDE : p], h), d, a, split))
+        if split < n:
+            out.append((xxh3_64_intdigest(view[p + KMER : p + LENGTH - BESIDE], h ^ 1), d, a + split, n - split))
+    c = list(zip(*out)) or [()] * 4
+    return np.array(c[0], np.uint64), *(np.array(x, np.int64) for x in c[1:])
 
 
 def _segments(buckets: int):
-    """(bucket, kind, block, blob): kind 0, segments for a bucket; kind 1, repeats found within the block."""
+    """(bucket, kind, block, blob): kind 0, segments for a bucket; kind 1, repeats known already."""
 
     def run(batches):
         for block, rows in _grouped(batches, "block"):
-            held = [r["blob"] for r in rows if r["kind"] == 1]
-            if not held:
-                continue
+            held = [unpacked(r["blob"]) for r in rows if r["kind"] == 1]
+            if not held:  # nothing returned: only copies within the block, if any, which come back, too
+                held = [(np.zeros(0, np.int32), np.zeros(0, np.uint8))]
             _, key, lens, text = unpacked(_unzip(next(r["blob"] for r in rows if r["kind"] == 0)))
-            again = np.sort(np.concatenate([unpacked(x)[0] for x in held]))
-            h, doc, first, count, _ = minimiser_runs(text, lens)
-            keep = again[np.minimum(np.searchsorted(again, h), len(again) - 1)] == h
-            h, doc, first, count = h[keep], doc[keep], first[keep], count[keep]
-            raw = text.tobytes()
-            pieces = [raw[a : a + n + LENGTH - 1] for a, n in zip(first.tolist(), count.tolist())]
-            lead = _first_copies(pieces)
-            copy = np.flatnonzero(lead != np.arange(len(lead)))
-            offset = first - (np.cumsum(lens) - lens)[doc]
-            out = [(block % buckets, 1, block, packed(doc[copy], offset[copy], (offset + count)[copy]))] if len(copy) else []
-            own = np.flatnonzero(lead == np.arange(len(lead)))
-            b = bucket_of(h[own], buckets)
-            order = own[np.argsort(b, kind="stable")]
-            for part in np.split(order, np.flatnonzero(np.diff(np.sort(b))) + 1):
-                if len(part):
-                    blob = packed(key[doc[part]], doc[part], offset[part], count[part], np.frombuffer(b"".join(pieces[i] for i in part.tolist()), np.uint8))
-                    out.append((int(bucket_of(h[part[:1]], buckets)[0]), 0, block, _zip(blob)))
-            yield _batch(["bucket", "kind", "block", "blob"], *zip(*out))
+            runs, (h, own, doc, first, count, head) = segment_table(text, lens)
+            status = np.zeros(len(h), np.uint8)
+            status[np.concatenate([n for n, _ in held])] = np.concatenate([x for _, x in held])
+            order, group = first_equal(h, own)
+            copy = np.ones(len(h), bool)
+            copy[order[group]] = False  # of equal segments of the block only the first has a verdict
+            gone = copy | (status == REPEATS)
+            begin = np.cumsum(lens) - lens
+            out = []
+            if gone.any():
+                at = first[gone] - begin[doc[gone]]
+                out.append((block % buckets, 1, block, packed(doc[gone].astype(np.int32), at.astype(np.int32), (at + count[gone]).astype(np.int32))))
+            plain = status == WANTED
+            dealt = np.flatnonzero(status == DEALT)
+            last = np.append(head[1:], len(runs[0]))
+            c, d, a, n = _dealt(text, runs, ragged_index(head[dealt], last[dealt] - head[dealt]))
+            c, d, a, n = (np.concatenate(x) for x in ((h[plain], c), (doc[plain], d), (first[plain], a), (count[plain], n)))
+            b = bucket_of(c, buckets)
+            order = np.argsort(b, kind="stable")
+            for i in np.split(order, np.flatnonzero(np.diff(b[order])) + 1):
+                if len(i):
+                    size = n[i] + LENGTH - 1
+                    out.append((int(b[i[0]]), 0, block, _zip(packed(c[i], key[d[i]], d[i].astype(np.int32), (a[i] - begin[d[i]]).astype(np.int32), n[i].astype(np.int32), text[ragged_index(a[i], size)]))))
+            if out:
+                yield _batch(["bucket", "kind", "block", "blob"], *zip(*out))
 
     return run
 
 
+def _unit_repeats(raw: memoryview, at: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Repeated windows of segments given in their order in the corpus: segment, first window, end."""
+    size = count + LENGTH - 1
+    seen: dict[bytes, int] = {}
+    pieces = [bytes(raw[a : a + n]) for a, n in zip(at.tolist(), size.tolist())]
+    lead = np.fromiter((seen.setdefault(x, i) for i, x in enumerate(pieces)), np.int64, len(pieces)) == np.arange(len(pieces))
+    own = np.flatnonzero(lead)
+    text, n, s = np.frombuffer(b"".join(seen), np.uint8), count[own], size[own]
+    again = repeated_windows(text, ragged_index(np.cumsum(s) - s, n))
+    edge = np.cumsum(n) - n
+    prev, after = np.append(False, again[:-1]), np.append(again[1:], False)
+    prev[edge] = False
+    after[edge[1:] - 1] = False
+    start, end = np.flatnonzero(again & ~prev), np.flatnonzero(again & ~after) + 1
+    seg = np.searchsorted(edge, start, side="right") - 1
+    copy = np.flatnonzero(~lead)
+    return np.concatenate([own[seg], copy]), np.concatenate([start - edge[seg], np.zeros(len(copy), np.int64)]), np.concatenate([end - edge[seg], count[copy]])
+
+
 def _bucket_repeats(batches):
-    """(block, kind, blob): repeated windows of each block, as document, first and end; one suffix bucket at a time."""
+    """(block, kind, blob): repeated windows of each block, as document, first and end; one suffix bucket at a time, its
+    classes in units of about UNIT_BYTES."""
     for _, rows in _grouped(batches, "bucket"):
-        out = [(r["block"], r["blob"]) for r in rows if r["kind"] == 1]
-        rows = [r for r in rows if r["kind"] == 0]
-        if rows:
-            parts = [unpacked(_unzip(r["blob"])) for r in rows]
-            key, doc, offset, count = (np.concatenate([p[i] for p in parts]) for i in range(4))
-            block = np.repeat(np.array([r["block"] for r in rows]), [len(p[0]) for p in parts])
-            text = np.concatenate([p[4] for p in parts])
-            size = count + LENGTH - 1
-            begin = np.cumsum(size) - size
-            order = np.lexsort((offset, doc, block, key))  # by place in the corpus, so that position in the text tells what is earlier
-            raw = text.tobytes()
-            pieces = [raw[a : a + n] for a, n in zip(begin[order].tolist(), size[order].tolist())]
-            lead = _first_copies(pieces)
-            own = lead == np.arange(len(lead))
-            text = np.frombuffer(b"".join(p for p, o in zip(pieces, own.tolist()) if o), np.uint8)
-            n, s = count[order][own], size[order][own]
-            again = repeated_windows(text, ragged_index(np.cumsum(s) - s, n))
-            edge = np.cumsum(n) - n
-            # runs of repeated windows within a segment
-            seg = np.repeat(np.arange(len(n)), n)
-            prev = np.append(False, again[:-1])
-            prev[edge] = False
-            start = np.flatnonzero(again & ~prev)
-            after = np.append(again[1:], False)
-            after[edge[1:] - 1] = False
-            end = np.flatnonzero(again & ~after) + 1
-            i, j = order[own][seg[start]], order[~own]
-            where = np.concatenate([block[i], block[j]])
-            spans = [np.concatenate([doc[i], doc[j]]), np.concatenate([offset[i] + start - edge[seg[start]], offset[j]]), np.concatenate([offset[i] + end - edge[seg[start]], offset[j] + count[j]])]
-            by = np.argsort(where, kind="stable")
-            for part in np.split(by, np.flatnonzero(np.diff(where[by])) + 1):
-                if len(part):
-                    out.append((int(where[part[0]]), packed(*(x[part] for x in spans))))
+        out = [(r["block"], r["blob"].to_pybytes()) for r in rows if r["kind"] == 1]
+        parts = [(r["block"], unpacked(_unzip(r["blob"]))) for r in rows if r["kind"] == 0]
+        if parts:
+            cls, key, doc, offset, count = (np.concatenate([p[i] for _, p in parts]) for i in range(5))
+            block = np.repeat(np.array([b for b, _ in parts]), [len(p[0]) for _, p in parts])
+            raw = memoryview(np.concatenate([p[5] for _, p in parts]))
+            del parts
+            size = count.astype(np.int64) + LENGTH - 1
+            at = np.cumsum(size) - size
+            order = np.lexsort((offset, doc, block, key, cls))  # within a class by place in the corpus
+            head = np.flatnonzero(np.append(True, cls[order[1:]] != cls[order[:-1]]))
+            ends = np.append(np.add.accumulate(size[order])[head[1:] - 1], size.sum())
+            found, i = [], 0
+            while i < len(head):
+                j = max(i + 1, int(np.searchsorted(ends, (ends[i - 1] if i else 0) + UNIT_BYTES, side="right")))
+                own = order[head[i] : head[j] if j < len(head) else len(order)]
+                own = own[np.lexsort((offset[own], doc[own], block[own], key[own]))]
+                s, a, b = _unit_repeats(raw, at[own], count[own].astype(np.int64))
+                found.append((own[s], a, b))
+                i = j
+            s, a, b = (np.concatenate(x) for x in zip(*found))
+            order = np.argsort(block[s], kind="stable")
+            s, a, b = s[order], a[order], b[order]
+            spans = [x.astype(np.int32) for x in (doc[s], offset[s] + a, offset[s] + b)]
+            cut = np.flatnonzero(np.diff(block[s])) + 1
+            for i in np.split(np.arange(len(s)), cut):
+                if len(i):
+                    out.append((int(block[s[i[0]]]), packed(*(x[i] for x in spans))))
         yield _batch(["block", "kind", "blob"], [b for b, _ in out], [1] * len(out), [x for _, x in out])
 
 
+def merged_spans(begin: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Disjoint spans that cover the same bytes, ascending."""
+    order = np.argsort(begin, kind="stable")
+    begin, end = begin[order], np.maximum.accumulate(end[order]) if len(end) else end
+    new = np.flatnonzero(np.append(True, begin[1:] > end[:-1])) if len(begin) else np.zeros(0, np.int64)
+    return begin[new], end[np.append(new[1:], len(begin)) - 1] if len(new) else end
+
+
 def _cut(keep: bool):
     """Each document of a block without its repeated bytes."""
 
     def run(batches):
-        import pyarrow as pa
-
         for _, rows in _grouped(batches, "block"):
             rest, _, lens, text = unpacked(_unzip(next(r["blob"] for r in rows if r["kind"] == 0)))
-            begin = np.cumsum(lens) - lens
-            change = np.zeros(len(text) + 1, np.int32)
-            for r in rows:
-                if r["kind"] == 1:
-                    d, a, b = unpacked(r["blob"])
-                    np.add.at(change, begin[d] + a, 1)
-                    np.add.at(change, begin[d] + b + LENGTH - 1, -1)
-            gone = np.cumsum(change[:-1]) > 0
-            doc = np.repeat(np.arange(len(lens)), lens)
-            head = gone & ~np.append(False, gone[:-1])
-            inner = begin[(lens > 0) & (begin < len(text))]
-            head[inner] = gone[inner]
-            removed, spans = (np.bincount(doc[x], minlength=len(lens)) for x in (gone, head))
-            left, kept = text[~gone].tobytes(), lens - removed
-            ends = np.cumsum(kept).tolist()
-            raw = [left[e - k : e] for e, k in zip(ends, kept.tolist())]
+            ends = np.cumsum(lens)
+            begin = ends - lens
+            spans = [unpacked(r["blob"]) for r in rows if r["kind"] == 1]
+            d, a, b = (np.concatenate([np.zeros(0, np.int64), *(x[i] for x in spans)]).astype(np.int64) for i in range(3))
+            # one more between documents, so that spans that meet at a border stay apart
+            a, b = merged_spans(begin[d] + a + d, begin[d] + b + LENGTH - 1 + d)
+            doc = np.searchsorted(begin + np.arange(len(lens)), a, side="right") - 1
+            removed = np.bincount(doc, b - a, minlength=len(lens)).astype(np.int64)
+            runs = np.bincount(doc, minlength=len(lens))
+            a, b = a - doc, b - doc
+            left, raw, k = memoryview(text), [], 0
+            for i, (x, y, n) in enumerate(zip(begin.tolist(), ends.tolist(), runs.tolist())):
+                at, own = x, []
+                for u, v in zip(a[k : k + n].tolist(), b[k : k + n].tolist()):
+                    own.append(left[at:u])
+                    at = v
+                own.append(left[at:y])
+                raw.append(b"".join(own))
+                k += n
             table = pa.ipc.open_stream(pa.py_buffer(rest.tobytes())).read_next_batch()
             for at in range(0, len(raw), 1000):
                 part = slice(at, at + 1000)
-                own = [pa.array(lens[part]), pa.array(removed[part]), pa.array(spans[part])]
+                own = [pa.array(lens[part]), pa.array(removed[part]), pa.array(runs[part])]
                 if keep:
                     yield pa.RecordBatch.from_arrays([table.column("__cw_rest").slice(at, 1000), *own, pa.array([x.decode(errors="ignore") for x in raw[part]], pa.string())], ["__cw_rest", "n_bytes", "n_removed", "n_spans", "kept"])
                 else:
@@ -422,12 +534,13 @@ def _cut(keep: bool):
     return run
 
 
-def remove_repeats(docs: DataFrame, keep: bool = False, bucket_bytes: int = 8_000_000) -> DataFrame:
+def remove_repeats(docs: DataFrame, keep: bool = False, bucket_bytes: int = 4_000_000, many: int = MANY) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept (the remaining bytes) of every row.
 
     keep: all columns but text instead, with __cw_text (a character that is cut in two goes), __cw_removed.
-    Null and empty texts have no bytes; texts below 100 bytes stay whole; of rows that repeat a doc_id the one in the
-    earlier block and place counts as earlier; a null doc_id comes after all others; an empty table gives no row."""
+    many: a minimiser with more different segments is dealt out by the bytes beside it. Null and empty texts have no bytes; texts below 100 bytes stay whole; a text of any length is hashed in slices and its
+    windows sorted in units, so that a worker holds the text itself and little else; of rows that repeat a doc_id the one
+    in the earlier block and place counts as earlier; a null doc_id comes after all others; an empty table gives no row."""
     spark = docs.sparkSession
     blocks = blocks_of(docs)
     total = blocks.agg(F.sum("size")).first()[0] or 0
@@ -436,7 +549,7 @@ def remove_repeats(docs: DataFrame, keep: bool = False, bucket_bytes: int = 8_00
     dealt = max(partitions(spark), total // TASK_BYTES)  # a task's share of the blocks stays, too
 
     found = blocks.mapInArrow(_minimisers(buckets), "bucket long, block long, blob binary").repartition(dealt, "bucket").sortWithinPartitions("bucket")
-    again = found.mapInArrow(_survivors, "block long, kind long, blob binary")
+    again = found.mapInArrow(_verdicts(many), "block long, kind long, blob binary")
     pairs = texts.unionByName(again).repartition(dealt, "block").sortWithinPartitions("block", "kind")
     segments = pairs.mapInArrow(_segments(buckets), "bucket long, kind long, block long, blob binary").repartition(dealt, "bucket").sortWithinPartitions("bucket")
     spans = written(segments.mapInArrow(_bucket_repeats, "block long, kind long, blob binary"), "repeat-spans")
