@@ -18,6 +18,8 @@ from pyspark.sql import functions as F
 from .common import id_and_text, text_chunks, written
 
 WORDS, BITS, SEED, SMALL_LIST = 4, 4, 42, 12
+#: fingerprints of more than one such share of all rows are joined apart from the others
+HOT_SHARES = 2000
 
 
 def position_triples() -> list[tuple[int, ...]]:
@@ -167,14 +169,14 @@ def links(nodes: DataFrame, bits: int = BITS) -> DataFrame:
     return index.mapInArrow(run, "a long, b long").groupBy("a", "b").agg(F.count(F.lit(1)).alias("lists")).select("a", "b")
 
 
-def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """(node, root) of each linked node: root is the smallest node that it reaches. Alternating large and small stars.
 
     The least neighbour is an aggregate with partial sums, and its join back can be split, so a hub of any degree is no
-    hot task; each round is written to the shared folder."""
+    hot task; each round is written to the shared folder. Rounds go on until the stars stay as they are."""
     edges = written(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "links")
     state = None
-    for _ in range(rounds):
+    while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
@@ -184,24 +186,26 @@ def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
         edges = written(small.distinct(), "stars")
         now = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()
         if now == state:
-            break
+            return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
         state = now
-    else:
-        raise RuntimeError("components did not settle")
-    return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
 def near_groups(docs: DataFrame) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable) of every row.
 
-    Null and texts without words have fingerprint zero and link like any other; a null doc_id stays null and names a
-    component only where nothing else does; repeated rows get the same component; an empty table gives no row."""
+    Null and texts without words have fingerprint zero and link like any other; a text of any length is hashed whole; a
+    null doc_id stays null and names a component only where nothing else does; repeated rows get the same component; an
+    empty table gives no row."""
     prints = written(fingerprints(docs), "fingerprints")
-    nodes = prints.groupBy("fp").agg(F.min("doc_id").alias("first"))
+    nodes = written(prints.groupBy("fp").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("rows")), "nodes")
     found = components(links(nodes.select("fp")))
     member = found.select("node", "root").unionByName(found.select(F.col("root").alias("node"), "root").distinct())
     named = member.join(nodes.withColumnRenamed("fp", "node"), "node").groupBy("root").agg(F.min("first").alias("component"))
     label = member.join(named, "root").select(F.col("node").alias("fp"), "component")
-    # written, so that the last join stands alone in its stage and Spark can split a fingerprint that many rows share
-    final = written(nodes.join(label, "fp", "left").select("fp", F.coalesce("component", "first").alias("component_id")), "labels")
-    return prints.join(final, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    final = written(nodes.join(label, "fp", "left").select("fp", "rows", F.coalesce("component", "first").alias("component_id")), "labels")
+    # a fingerprint of more than a share of all rows is hot: there are at most HOT_SHARES of them, so they can be broadcast
+    bound = nodes.agg(F.sum("rows")).first()[0] or 0
+    hot = F.broadcast(final.where(F.col("rows") * HOT_SHARES > bound).drop("rows"))
+    rest = final.where(F.col("rows") * HOT_SHARES <= bound).drop("rows")
+    out = prints.join(hot, "fp").unionByName(prints.join(hot.select("fp"), "fp", "left_anti").join(rest, "fp"))
+    return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
