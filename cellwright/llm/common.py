@@ -70,17 +70,25 @@ def mix64(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(32))
 
 
-def text_chunks(batch, max_bytes: int = 4_000_000):
-    """Splits an Arrow batch with columns doc_id, text into slices of about max_bytes of text."""
-    sizes = np.diff(np.asarray(batch.column("text").offsets, np.int64)) if hasattr(batch.column("text"), "offsets") else None
-    if sizes is None:
-        import pyarrow.compute as pc
-
-        sizes = np.asarray(pc.fill_null(pc.binary_length(batch.column("text")), 0), np.int64)
-    at, n = 0, batch.num_rows
-    cum = np.cumsum(sizes)
-    while at < n:
-        base = cum[at - 1] if at else 0
-        end = max(at + 1, int(np.searchsorted(cum, base + max_bytes, side="right")))
-        yield batch.slice(at, end - at)
+def _cuts(texts, max_bytes: int):
+    """(start, end) of slices of an Arrow text array of about max_bytes each."""
+    import pyarrow.compute as pc
+
+    cum = np.cumsum(np.asarray(pc.fill_null(pc.binary_length(texts), 0), np.int64))
+    at = 0
+    while at < len(cum):
+        end = max(at + 1, int(np.searchsorted(cum, (cum[at - 1] if at else 0) + max_bytes, side="right")))
+        yield at, end
         at = end
+
+
+def text_chunks(batch, max_bytes: int = 4_000_000):
+    """Splits an Arrow batch with a column text into slices of about max_bytes of text."""
+    for a, b in _cuts(batch.column("text"), max_bytes):
+        yield batch.slice(a, b - a)
+
+
+def text_slices(texts, max_bytes: int):
+    """As text_chunks, of an array of texts."""
+    for a, b in _cuts(texts, max_bytes):
+        yield texts.slice(a, b - a)

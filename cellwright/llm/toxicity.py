@@ -10,15 +10,18 @@ distinct word of a batch, and all windows of a batch, sorted by length, take eac
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_and_text, text_chunks
+from .common import id_and_text, text_slices
 
 WINDOW, STRIDE, CHARS = 32, 16, 14
+PART_STRIDES = 4096  # windows of a text that are read at a time
 SAMPLE_TOXIC, SAMPLE_CLEAN = 900, 1300
 _WORD = re.compile(r"\w+")
 _PART = re.compile(r"[^\W_]+|_+")
@@ -121,8 +124,8 @@ class ToxicityModel:
         """Input parts of both word networks for distinct words; character states are computed in batches."""
         w = self.weights
         front, back = [], []
-        for a in range(0, len(words), 16_384):
-            part = words[a : a + 16_384]
+        for a in range(0, len(words), 8192):
+            part = words[a : a + 8192]
             order = np.argsort([-min(len(x), CHARS) for x in part], kind="stable")
             spelled, lens = self.spell([part[i] for i in order])
             live = (np.arange(CHARS)[:, None] < lens).sum(1)
@@ -135,11 +138,10 @@ class ToxicityModel:
             back.append(x @ w["wb_w"] + w["wb_b"])
         return np.concatenate(front).astype(np.float32), np.concatenate(back).astype(np.float32)
 
-    def entries(self, words: list[str], most: int = 400_000) -> np.ndarray:
-        """Row of each word in the gate tables, which grow by a batch's new words and start anew beyond `most`."""
-        memo = self.memo
-        if "at" not in memo or len(memo["at"]) > most:
-            h3 = self.weights["wf_w"].shape[1]
+    def entries(self, words: list[str], memo_bytes: int) -> np.ndarray:
+        """Row of each word in the gate tables, which grow by a batch's new words and start anew beyond memo_bytes."""
+        memo, h3 = self.memo, self.weights["wf_w"].shape[1]
+        if "at" not in memo or len(memo["at"]) * (8 * h3 + 200) > memo_bytes:  # both gate rows, the word and its place
             memo.update(at={}, front=np.zeros((1024, h3), np.float32), back=np.zeros((1024, h3), np.float32))
         at = memo["at"]
         new = [w for w in dict.fromkeys(words) if w not in at]
@@ -163,10 +165,10 @@ class ToxicityModel:
         pooled = ((a / a.sum(0))[:, :, None] * s).sum(0)
         return pooled @ w["out_w"] + w["out_b"]
 
-    def windows(self, split: list[list[str]]) -> tuple[np.ndarray, np.ndarray]:
+    def windows(self, split: list[list[str]], memo_bytes: int = 48 << 20) -> tuple[np.ndarray, np.ndarray]:
         """Logits of all overlapping windows of the word lists, and the number of each list."""
         n = np.fromiter(map(len, split), np.int64, len(split))
-        flat = self.entries([w for s in split for w in s])
+        flat = self.entries([w for s in split for w in s], memo_bytes)
         first = np.cumsum(n) - n
         count = np.maximum(1, -(-(n - WINDOW) // STRIDE) + 1)
         doc = np.repeat(np.arange(len(n)), count)
@@ -174,21 +176,35 @@ class ToxicityModel:
         lens = np.minimum(n[doc] - start, WINDOW)
         order = np.argsort(-lens, kind="stable")
         out = np.empty(len(doc), np.float32)
-        for a in range(0, len(order), 4096):
-            i = order[a : a + 4096]
+        for a in range(0, len(order), 2048):
+            i = order[a : a + 2048]
             place = first[doc[i]] + start[i] + np.minimum(np.arange(WINDOW)[:, None], lens[i] - 1)
             out[i] = self.window_logits(flat[place], lens[i])
         return out, count
 
-    def logits(self, texts: list[str]) -> np.ndarray:
-        """Highest window logit of each text; a text without words is read as one unknown word."""
+    def logits(self, texts: list[str], memo_bytes: int = 48 << 20) -> np.ndarray:
+        """Highest window logit of each text; a text without words is read as one unknown word. The words of a long text
+        are taken in parts that share the windows at their ends."""
         if not texts:
             return np.zeros(0, np.float32)
-        z, count = self.windows([tokens(t) or ["_"] for t in texts])
-        return np.maximum.reduceat(z, np.cumsum(count) - count)
-
-    def scores(self, texts: list[str]) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(self.scale * self.logits(texts).astype(np.float64) + self.shift, -30, 30)))
+        part, parts, of = STRIDE * PART_STRIDES, [], []
+        for i, t in enumerate(texts):
+            words = tokens(t) or ["_"]
+            for a in range(0, max(1, len(words) - WINDOW + STRIDE), part):
+                parts.append(words[a : a + part + WINDOW - STRIDE])
+                of.append(i)
+        out = np.full(len(texts), -np.inf, np.float32)
+        ends = np.cumsum([len(p) for p in parts])
+        at = 0
+        while at < len(parts):
+            end = max(at + 1, int(np.searchsorted(ends, ends[at] - len(parts[at]) + 4 * part, side="right")))
+            z, count = self.windows(parts[at:end], memo_bytes)
+            np.maximum.at(out, of[at:end], np.maximum.reduceat(z, np.cumsum(count) - count))
+            at = end
+        return out
+
+    def scores(self, texts: list[str], memo_bytes: int = 48 << 20) -> np.ndarray:
+        return 1 / (1 + np.exp(-np.clip(self.scale * self.logits(texts, memo_bytes).astype(np.float64) + self.shift, -30, 30)))
 
 
 def new_model(texts: list[str], min_docs: int = 8, chars: int = 200, dim_char: int = 8, h_char: int = 8, dim_word: int = 8, h_word: int = 8, seed: int = 11) -> ToxicityModel:
@@ -353,23 +369,20 @@ def fit(docs: DataFrame, labels: DataFrame, toxic: int = SAMPLE_TOXIC, clean: in
     return train([r["text"] for r in rows], np.array([r["y"] for r in rows], np.int64), share=ones / n if n else None)
 
 
-def score(docs: DataFrame, model: ToxicityModel, keep: bool = False) -> DataFrame:
+def score(docs: DataFrame, model: ToxicityModel, keep: bool = False, memo_mb: int = 48) -> DataFrame:
     """doc_id, score (0 to 1) of every whole text; keep: all columns, with __cw_score.
 
-    Null and empty texts are read as one unknown word and get its score; repeated rows get one each; a null doc_id stays
-    null; an empty table gives no row. A map without shuffle; the model is broadcast, its size does not grow."""
+    Null and empty texts are read as one unknown word and get its score; a text of any length is read in parts of about
+    2 MB; repeated rows get one each; a null doc_id stays null; an empty table gives no row. A map without shuffle, to
+    which only the text travels; the model is broadcast, its size does not grow, and a worker keeps at most memo_mb of words."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
-    def run(batches):
-        import pyarrow as pa
-
-        for batch in batches:
-            for part in text_chunks(batch, 2_000_000):
-                got = pa.array(shared.value.scores(part.column("text").to_pylist()))
-                yield pa.RecordBatch.from_arrays([part.column(0), got], [part.schema.names[0], "__cw_score"])
+    @F.arrow_udf("double")
+    def scored(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        for texts in arrays:
+            out = [shared.value.scores(part.to_pylist(), memo_mb << 20) for part in text_slices(texts, 2_000_000)]
+            yield pa.array(np.concatenate(out) if out else np.zeros(0))
 
-    if not keep:
-        return id_and_text(docs).mapInArrow(run, "doc_id long, __cw_score double").withColumnRenamed("__cw_score", "score")
-    rows = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("__cw_row"), F.coalesce(docs["text"], F.lit("")).alias("text"))
-    out = rows.mapInArrow(run, rows.select("__cw_row").schema.add("__cw_score", "double"))
-    return out.select("__cw_row.*", "__cw_score")
+    # not deterministic: the optimiser then never writes the expression out twice
+    value = scored.asNondeterministic()(F.coalesce(docs["text"], F.lit("")))
+    return docs.select("*", value.alias("__cw_score")) if keep else docs.select(F.col("doc_id").cast("long").alias("doc_id"), value.alias("score"))
