@@ -154,14 +154,30 @@ def test_bpe_roundtrip(docs, none, rows):
     assert encode_decode(none, WORDS).count() == 0
 
 
-def test_token_files(spark, docs, none, rows):
-    from cellwright.llm.token_files import pack_values, read_token_files, unpack_values, write_token_files
+@pytest.mark.parametrize("part_ids", [500_000, 100])
+def test_token_files(spark, docs, none, rows, part_ids, monkeypatch):
+    from cellwright.llm import token_files
+    from cellwright.llm.token_files import FileWriter, pack_values, read_file, read_token_files, unpack_values, write_token_files
 
     v = np.array([0, 255, 256, 65535, 65536, 1 << 24, (1 << 32) - 1], np.uint64)
     c, d = pack_values(v)
-    assert unpack_values(np.frombuffer(c, np.uint8), np.frombuffer(d, np.uint8), len(v)).tolist() == v.tolist()
+    control, data = np.frombuffer(c, np.uint8), np.frombuffer(d, np.uint8)
+    assert unpack_values(control, data, len(v))[0].tolist() == v.tolist()
+    first, used = unpack_values(control, data, 5)
+    assert first.tolist() == v[:5].tolist() and unpack_values(control[1:], data[used:], 2, 1)[0].tolist() == v[5:].tolist()
+    monkeypatch.setattr(token_files, "PART_IDS", part_ids)
+    rng = np.random.default_rng(1)
+    n, rank = rng.integers(0, 900, 40), rng.permutation(5000).astype(np.uint32)
+    ids, w, at = rng.integers(0, 5000, n.sum()), FileWriter(rank), 0
+    for k in (7, 13, 20):
+        m = n[at : at + k]
+        w.add([None if i % 5 == 0 else i for i in range(at, at + k)], m, ids[n[:at].sum() : n[:at].sum() + m.sum()])
+        at += k
+    parts = list(read_file(b"".join(w.parts(3)), np.argsort(rank)))
+    assert np.concatenate([p[4] for p in parts]).tolist() == ids.tolist() and [d for p in parts for d in p[1]] == [None if i % 5 == 0 else i for i in range(40)]
+    assert np.concatenate([p[2] for p in parts]).tolist() == (np.cumsum(n) - n).tolist() and np.concatenate([p[3] for p in parts]).tolist() == n.tolist()
     tok = library(BYTES)
-    got = [tuple(r) for r in read_token_files(spark, *write_token_files(docs, BYTES, PATTERN)).collect()]
+    got = [tuple(r) for r in read_token_files(spark, *write_token_files(docs, BYTES)).collect()]
     want = [(i, np.array(tok.encode(t or "", add_special_tokens=False).ids + [0], "<u4").tobytes()) for i, t in rows]
     same([(g[0], bytes(g[3])) for g in got], want)
     at = 0
@@ -170,7 +186,7 @@ def test_token_files(spark, docs, none, rows):
         at += g[2]
     order = [g[0] if g[0] is not None else -1 for g in sorted(got, key=lambda g: g[1])]
     assert order == sorted(order)
-    assert read_token_files(spark, *write_token_files(none, BYTES, PATTERN)).count() == 0
+    assert read_token_files(spark, *write_token_files(none, BYTES)).count() == 0
 
 
 def test_sharding(spark, docs, none, rows):
@@ -222,11 +238,34 @@ def test_suffix_dedup(docs, none, rows):
         want.append((own[k][0], len(b), int(gone.sum()), spans, np.frombuffer(b, np.uint8)[~gone].tobytes()))
     got = remove_repeats(docs.where("doc_id IS NOT NULL"), bucket_bytes=2000)
     same([(*r[:4], bytes(r[4])) for r in got.collect()], want)
+    same([(*r[:4], bytes(r[4])) for r in remove_repeats(docs.where("doc_id IS NOT NULL"), many=0).collect()], want)
     kept = remove_repeats(docs, keep=True)
     assert set(docs.columns) <= set(kept.columns) and kept.count() == len(rows)
     assert remove_repeats(none).count() == 0 and remove_repeats(none, keep=True).count() == 0
 
 
+@pytest.mark.parametrize("many", [0, 3, 1000])
+def test_suffix_dedup_of_a_passage_in_many_texts(spark, many):
+    """A passage at the edges of different texts, near copies, copies, periodic text, and a text above a slice of windows."""
+    from cellwright.llm.suffix_dedup import SLICE, remove_repeats
+
+    rng = random.Random(many)
+
+    def prose(n):
+        return " ".join("".join(rng.choice("abcdefgh") for _ in range(rng.randrange(2, 9))) for _ in range(n))
+
+    passage, base = prose(45), prose(300)
+    rows = [(i, prose(rng.randrange(5, 60)) + passage + prose(rng.randrange(5, 60))) for i in range(40)]
+    rows += [(100 + i, base[: rng.randrange(len(base))] + prose(3) + base[rng.randrange(len(base)) :]) for i in range(15)]
+    rows += [(200 + i, base) for i in range(5)] + [(300, "ab" * 400), (301, "xab" * 200 + "ab" * 100), (302, passage)]
+    long = prose(SLICE // 5 + 20_000)
+    assert len(long) > SLICE
+    rows += [(400, long), (401, long[SLICE - 500 : SLICE + 700])]
+    want = [(rows[k][0], len(b), int(g.sum()), np.frombuffer(b, np.uint8)[~g].tobytes()) for k, (b, g) in covered(rows).items()]
+    frame = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    same([(r[0], r[1], r[2], bytes(r[4])) for r in remove_repeats(frame, many=many).collect()], want)
+
+
 @pytest.mark.parametrize("seed", range(12))
 def test_suffix_order(seed):
     from cellwright.llm.suffix_dedup import repeated_windows, suffix_order
@@ -250,7 +289,7 @@ def test_packing(docs, none, rows):
     bins, offsets = first_fit_decreasing(np.array([5, 9, 3, 7, 1, 10]), 10)
     assert bins.tolist() == [3, 1, 2, 2, 1, 0] and offsets.tolist() == [0, 0, 7, 0, 9, 0]
     tok = library(BYTES)
-    got = pack(docs, BYTES, PATTERN, group_pieces=16).collect()
+    got = pack(docs, BYTES, group_pieces=16).collect()
     by = {}
     for r in got:
         by.setdefault(r["sequence_id"], []).append((r["offset"], r["length"]))
@@ -265,7 +304,7 @@ def test_packing(docs, none, rows):
         ids = tok.encode(t or "", add_special_tokens=False).ids + [0]
         want += [(i, s, len(ids[s : s + 1024]), zlib.crc32(np.array(ids[s : s + 1024], "<u4").tobytes()), len(ids)) for s in range(0, len(ids), 1024)]
     same([tuple(r)[:5] for r in got], want)
-    assert pack(none, BYTES, PATTERN).count() == 0
+    assert pack(none, BYTES).count() == 0
 
 
 def test_additive_ann(spark):
