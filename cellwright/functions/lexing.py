@@ -118,10 +118,13 @@ def is_word(d: Spark, piece: str) -> str:
 
 
 def balanced(d: Spark, t: str) -> str:
-    """Brackets close in order and all of them; strings are single tokens, so brackets within them do not count."""
-    depth = f"{d.size(d.keep(d.cut(t, '1', 'i'), 'y', "y = '('"))} - {d.size(d.keep(d.cut(t, '1', 'i'), 'y', "y = ')'"))}"
+    """Brackets close in order and all of them; strings are single tokens, so brackets within them do not count.
+
+    In order: the k-th closing bracket stands after the k-th opening one."""
     idx = d.seq("1", d.size(t))
-    return f"(not {d.some(idx, 'i', f'{depth} < 0')} and {d.size(d.keep(t, 'y', "y = '('"))} = {d.size(d.keep(t, 'y', "y = ')'"))})"
+    at = d.arr(d.names(o=d.keep(idx, "i", f"{d.at(t, 'i')} = '('"), c=d.keep(idx, "i", f"{d.at(t, 'i')} = ')'")))
+    early = d.some(d.seq("1", d.size("z.c")), "k", f"{d.at('z.o', 'k')} > {d.at('z.c', 'k')}")
+    return d.at(d.each(at, "z", f"({d.size('z.o')} = {d.size('z.c')} and not {early})"), "1")
 
 
 def well_formed(d: Spark, t: str, k: str) -> str:

@@ -36,7 +36,7 @@ CATALOGUE = {
 def places(d: Spark) -> list[dict[str, str]]:
     """Helper columns over tokens, kinds; each step may use those before it.
 
-    depth: open brackets after each token; call, logical: first call, first AND or OR; *_close, *_seps: where its brackets
+    opens, shuts: places of brackets; depth: open brackets after each token; call, logical: first call, first AND or OR; *_close, *_seps: where its brackets
     close, its separators; shift, shift_to: a closing bracket before a separator, and where the argument after it ends."""
     idx = d.seq("1", d.size("tokens"))
 
@@ -51,10 +51,10 @@ def places(d: Spark) -> list[dict[str, str]]:
     def seps(p: str) -> str:
         return d.keep(idx, "j", f"j > {p} + 1 and j < {p}_close and {tj} = ',' and {dj} = {d.at('depth', f'{p} + 1')}")
 
-    opened = d.size(d.keep(d.cut("tokens", "1", "i"), "y", "y = '('"))
-    shut = d.size(d.keep(d.cut("tokens", "1", "i"), "y", "y = ')'"))
+    opened, shut = (d.size(d.keep(x, "y", "y <= i")) for x in ("opens", "shuts"))
     kj = d.at("kinds", "j")
     return [
+        {"opens": d.keep(idx, "j", f"{tj} = '('"), "shuts": d.keep(idx, "j", f"{tj} = ')'")},
         {"depth": d.each(idx, "i", f"{opened} - {shut}"), "call": first(f"{kj} = 'function'"), "logical": first(f"{kj} = 'function' and {ascii_upper(tj)} in ('AND', 'OR')")},
         {"call_close": close("call"), "logical_close": close("logical"), "shift": first(f"{tj} = ')' and {d.at('tokens', 'j + 1')} = ',' and {dj} >= 1")},
         {
@@ -65,8 +65,29 @@ def places(d: Spark) -> list[dict[str, str]]:
     ]
 
 
+def applies(d: Spark, op: str) -> str:
+    """Whether an operator changes a formula in more than spaces and case, from the helper columns alone.
+
+    Every rewrite takes out, adds or moves at least one mark or letter, but for the exchange of two equal arguments."""
+    cond, _ = _operation(d, op)
+    if op != "N04":
+        return cond
+
+    def bare(a: str, b: str) -> str:
+        return ascii_upper(f"replace({d.join(d.cut('tokens', a, b))}, ' ', '')")
+
+    one, two = d.at("call_seps", "1"), f"coalesce({d.at('call_seps', '2')}, call_close)"
+    return f"({cond} and {bare('call + 2', f'{one} - 1')} <> {bare(f'{one} + 1', f'{two} - 1')})"
+
+
 def rewrite(d: Spark, op: str) -> str:
     """Corrupted text, or null."""
+    cond, out = _operation(d, op)
+    return f"case when {cond} then {out} end"
+
+
+def _operation(d: Spark, op: str) -> tuple[str, str]:
+    """Where an operator has something to work on, and the corrupted text."""
     t, n = "tokens", d.size("tokens")
     idx = d.seq("1", n)
 
@@ -81,18 +102,18 @@ def rewrite(d: Spark, op: str) -> str:
         """tokens up to a, new ones, tokens from b."""
         return d.join(d.cat(d.cut(t, "1", a), *([d.arr(*new)] if new else []), d.cut(t, b, n)))
 
-    def when(cond: str, out: str) -> str:
-        return f"case when {cond} then {out} end"
+    def when(cond: str, out: str) -> tuple[str, str]:
+        return f"({cond})", out
 
     tj, kj = d.at(t, "j"), d.at("kinds", "j")
     n_seps, last_sep = d.size("call_seps"), d.at("call_seps", d.size("call_seps"))
     one, two = d.at("call_seps", "1"), f"coalesce({d.at('call_seps', '2')}, call_close)"
     string = first(f"{kj} = 'string' and {d.rx(tj, '^\"(?:[^\"]|\"\")+\"$')}")
 
-    def replace_at(i: str, new: str) -> str:
+    def replace_at(i: str, new: str) -> tuple[str, str]:
         return when(f"{i} is not null", splice(f"{i} - 1", [new], f"{i} + 1"))
 
-    def drop_at(i: str) -> str:
+    def drop_at(i: str) -> tuple[str, str]:
         return when(f"{i} is not null", splice(f"{i} - 1", [], f"{i} + 1"))
 
     def at(i: str) -> str:
@@ -160,7 +181,7 @@ def with_places(df: DataFrame) -> DataFrame:
     return df
 
 
-HELPERS = ["depth", "call", "logical", "call_close", "logical_close", "shift", "call_seps", "logical_seps", "shift_to"]
+HELPERS = ["opens", "shuts", "depth", "call", "logical", "call_close", "logical_close", "shift", "call_seps", "logical_seps", "shift_to"]
 
 
 def apply_operator(df: DataFrame, op: str) -> DataFrame:
@@ -179,11 +200,15 @@ def pick(d: Spark, seed: int, key: str, ops: list[str]) -> str:
 
 
 def user_noise(df: DataFrame, seed: int, key: str = "formula_id", ops: list[str] | None = None) -> DataFrame:
-    """Adds op_id and noisy by one operator, uniform among those that apply; both null where none does."""
+    """Adds op_id and noisy by one operator, uniform among those that apply; both null where none does.
+
+    Which operators apply is told from the helper columns; only the one that is drawn rewrites the formula."""
     ops = ops or list(CATALOGUE)
-    out = with_places(df).withColumns({o: F.expr(rewrite(SPARK, o)) for o in ops}).withColumns({o: F.expr(valid(SPARK, o)) for o in ops})
-    out = out.withColumn("picked", F.expr(pick(SPARK, seed, key, ops)))
-    return out.withColumns({"op_id": F.col("picked.op_id"), "noisy": F.col("picked.noisy")}).drop("picked", *ops, *HELPERS)
+    have = SPARK.keep(SPARK.arr(*(f"case when {applies(SPARK, o)} then '{o}' end" for o in ops)), "x", "x is not null")
+    out = with_places(df).withColumn("have", F.expr(have))
+    out = out.withColumn("op_id", F.expr(SPARK.at("have", f"1 + ({SPARK.u32(str(seed), key, "'operator'")} % greatest({SPARK.size('have')}, 1))")))
+    chosen = " ".join(f"when '{o}' then {_operation(SPARK, o)[1]}" for o in ops)
+    return out.withColumn("noisy", F.expr(f"case op_id {chosen} end")).drop("have", *HELPERS)
 
 
 def catalogue(spark) -> DataFrame:

@@ -38,19 +38,29 @@ def _starts(d: Spark, seed: int, key: str, s: str, bound: int) -> str:
     return f"{d.u32(str(seed), key, s, "'span'")} < {bound}"
 
 
-def covered(d: Spark, seed: int, key: str, place: str, rate: int, mean: int, law: str = "fixed") -> str:
-    """Whether a span covers the place. law: fixed length, geometric with that mean, or uniform from 1 to 2 mean - 1."""
-    if law == "fixed":
-        return d.some(d.seq(f"({place}) - {mean - 1}", place), "s", _starts(d, seed, key, "s", start_threshold(rate, mean)))
+def span_ends(d: Spark, seed: int, key: str, total: str, rate: int, mean: int, law: str = "fixed") -> str:
+    """Last place of the span that starts at each place from 2 - reach to total, or the place before it where none starts.
+    One draw a place. law: fixed length, geometric with that mean, or uniform from 1 to 2 mean - 1."""
     drawn = d.u32(str(seed), key, "s", "'length'")
-    if law == "geometric":
-        most = 8 * mean
-        bounds = d.arr(*(f"cast({int((1 - 1 / mean) ** k * TWO32)} as bigint)" for k in range(most)))
-        reach = f"{drawn} < {d.at(bounds, f'({place}) - s + 1')}"
+    if law == "fixed":
+        length = str(mean)
+    elif law == "geometric":
+        bounds = d.arr(*(f"cast({int((1 - 1 / mean) ** k * TWO32)} as bigint)" for k in range(8 * mean)))
+        length = d.size(d.keep(bounds, "w", f"{drawn} < w"))
     else:
-        most = 2 * mean - 1
-        reach = f"({place}) - s <= {drawn} % {most}"
-    return d.some(d.seq(f"({place}) - {most - 1}", place), "s", f"{_starts(d, seed, key, 's', start_threshold(rate, mean))} and {reach}")
+        length = f"{drawn} % {2 * mean - 1} + 1"
+    start = f"{d.u32(str(seed), key, 's', "'span'")} < {start_threshold(rate, mean)}"
+    return d.each(d.seq(str(2 - reach(mean, law)), total), "s", f"cast(case when {start} then s + {length} - 1 else s - 1 end as bigint)")
+
+
+def reach(mean: int, law: str) -> int:
+    """The longest span."""
+    return {"fixed": mean, "geometric": 8 * mean, "uniform": 2 * mean - 1}[law]
+
+
+def covered(d: Spark, ends: str, place: str, mean: int, law: str) -> str:
+    """Whether a span covers the place: one that starts at most reach - 1 places before it ends there or later."""
+    return d.some(d.cut(ends, place, f"({place}) + {reach(mean, law) - 1}"), "e", f"e >= {place}")
 
 
 def _collapsed(d: Spark, units: str, masked: str) -> str:
@@ -60,15 +70,15 @@ def _collapsed(d: Spark, units: str, masked: str) -> str:
 
 
 def span_columns(d: Spark, seed: int, key: str, rate: int, mean: int, law: str = "fixed") -> list[dict[str, str]]:
-    """Steps over tokens, kinds: sub-token counts, first sub-token of each lexer token, what is masked, the masked text.
+    """Steps over tokens, kinds: sub-token counts, first sub-token of each lexer token, span ends, what is masked, the masked text.
 
     A lexer token is masked whole, if its first sub-token is covered."""
     counts = d.each(lexing.model_tokens(d, "tokens", "kinds"), "x", f"cast({d.size('x')} as bigint)")
     first = d.each(d.seq("1", d.size("counts")), "i", f"1 + {d.sum(d.cut('counts', '1', 'i - 1'))}")
     return [
         {"counts": counts},
-        {"firsts": first},
-        {"masked": d.each("firsts", "f", covered(d, seed, key, "f", rate, mean, law))},
+        {"firsts": first, "span_ends": span_ends(d, seed, key, d.sum("counts"), rate, mean, law)},
+        {"masked": d.each("firsts", "f", covered(d, "span_ends", "f", mean, law))},
         {"span_source": _collapsed(d, "tokens", "masked")},
     ]
 
@@ -77,7 +87,8 @@ def generic_span_columns(d: Spark, seed: int, key: str, rate: int = 15, mean: in
     """As span_columns over sub-tokens, without regard to the lexer's boundaries; lengths 1 to 5."""
     return [
         {"pieces": d.flat(lexing.model_tokens(d, "tokens", "kinds"))},
-        {"masked": d.each(d.seq("1", d.size("pieces")), "f", covered(d, seed, key, "f", rate, mean, law))},
+        {"span_ends": span_ends(d, seed, key, d.size("pieces"), rate, mean, law)},
+        {"masked": d.each(d.seq("1", d.size("pieces")), "f", covered(d, "span_ends", "f", mean, law))},
         {"span_source": _collapsed(d, "pieces", "masked")},
     ]
 

@@ -30,22 +30,28 @@ def _keyed(df: DataFrame, scope: str, key: str, text: str, spec: SketchSpec) ->
 def dedup(df: DataFrame, scope: str = "workbook", key: str = "sketch", text: str = "formula", id_col: str = "formula_id", spec: SketchSpec = SketchSpec()) -> DataFrame:
     """The row with the smallest id of each key within the scope, with family_size. scope: workbook, global or none.
 
-    Partial aggregates collapse hot keys before the one shuffle, which carries 16-byte keys and ids, never texts; both
-    aggregate buffers are fixed width, so the plan stays a hash aggregate. Input bucketed by workbook needs no shuffle."""
+    The row travels as an aggregate: each task keeps one row of a key before the one shuffle, which so collapses hot keys,
+    and no join brings rows back. Rows that share an id and a key are told apart by their other columns; equal ones count
+    as one survivor and all in family_size. Input bucketed by workbook needs no shuffle."""
     if scope == "none":
         return df.withColumn("family_size", F.lit(1).cast("long"))
     keyed, by = _keyed(df, scope, key, text, spec)
-    best = keyed.groupBy(*by).agg(F.min(id_col).alias(id_col), F.count(F.lit(1)).alias("family_size")).select(id_col, "family_size")
-    return df.join(best, id_col)
+    best = keyed.groupBy(*by).agg(_first_row(df, id_col), F.count(F.lit(1)).alias("family_size"))
+    return best.select(*(F.col("first_row")[c].alias(c) for c in df.columns), "family_size")
+
+
+def _first_row(df: DataFrame, id_col: str):
+    """The row with the smallest id, ties by the other columns."""
+    return F.min(F.struct(id_col, *(c for c in df.columns if c != id_col))).alias("first_row")
 
 
 def dedup_incremental(new: DataFrame, seen: DataFrame, scope: str = "workbook") -> DataFrame:
     """Survivors of a new batch whose key is not among the keys of the table `seen` (workbook_id, sketch_key)."""
     keyed, by = _keyed(new, scope, "sketch", "formula", SketchSpec())
-    first = keyed.groupBy(*by).agg(F.min("formula_id").alias("formula_id"))
+    first = keyed.groupBy(*by).agg(_first_row(new, "formula_id"))
     # an outer join and a test, not an anti join: that would be pushed below the aggregate, with the sketch written out in its condition
-    fresh = first.join(seen.withColumn("seen", F.lit(True)), by, "left").where("seen IS NULL").select("formula_id")
-    return new.join(fresh, "formula_id")
+    fresh = first.join(seen.withColumn("seen", F.lit(True)), by, "left").where("seen IS NULL")
+    return fresh.select(*(F.col("first_row")[c].alias(c) for c in new.columns))
 
 
 def seen_keys(df: DataFrame, scope: str = "workbook") -> DataFrame:
@@ -97,8 +103,8 @@ def curation_skew(before: DataFrame, after: DataFrame) -> DataFrame:
     )
 
 
-def sketch_families(df: DataFrame, min_size: int = 2, examples: int = 3) -> DataFrame:
-    """Formulas that differ in their inputs only: size, spread over workbooks, some of the smallest texts."""
+def sketch_families(df: DataFrame, min_size: int = 2) -> DataFrame:
+    """Formulas that differ in their inputs only: size, spread over workbooks, the smallest text."""
     keyed = lexing.with_sketch(df).select("sketch", "workbook_id", "formula")
     g = keyed.groupBy("sketch").agg(F.count(F.lit(1)).alias("family_size"), F.countDistinct("workbook_id").alias("workbooks"), F.min("formula").alias("example"))
     return g.where(F.col("family_size") >= min_size)

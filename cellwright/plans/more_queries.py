@@ -41,7 +41,7 @@ def _arity(s, d):
     return noise.with_places(f).select(KEY, F.expr(arity_errors(SPARK)).cast("long").alias("errors"))
 
 
-_DEPTH = noise.places(DUCK)[0]["depth"]
+_BRACKETS, _DEPTH = noise.places(DUCK)[0], noise.places(DUCK)[1]["depth"]
 _PLACED = noise.places(DUCK)
 
 
@@ -58,7 +58,7 @@ put(
     "arity_check",
     _arity,
     lexed("formulas", _more + f""", nz AS (SELECT formula_id, {noise.valid(DUCK, 'raw')} AS noisy FROM (SELECT *, {noise.rewrite(DUCK, 'N01')} AS raw FROM {_last})),
-        t2 AS (SELECT formula_id, {lexing.lex(DUCK, 'noisy')} AS tokens FROM nz WHERE noisy IS NOT NULL), f2 AS (SELECT *, {lexing.kinds(DUCK, 'tokens')} AS kinds FROM t2), f3 AS (SELECT *, {_DEPTH} AS depth FROM f2)""")
+        t2 AS (SELECT formula_id, {lexing.lex(DUCK, 'noisy')} AS tokens FROM nz WHERE noisy IS NOT NULL), f2 AS (SELECT *, {lexing.kinds(DUCK, 'tokens')} AS kinds FROM t2), f3 AS (SELECT *, {_DEPTH} AS depth FROM (SELECT *, {_BRACKETS["opens"]} AS opens, {_BRACKETS["shuts"]} AS shuts FROM f2))""")
     + f"SELECT formula_id, {arity_errors(DUCK)} AS errors FROM f3",
 )
 
@@ -135,7 +135,7 @@ put("edits_within_hour", _interval, "SELECT a.user_id AS workbook_id, a.event_id
 
 
 def _approximate(s, d):
-    k = lexing.with_sketch(carriers.formulas_wide(s, d, hashed=True)).select("workbook_id", "sketch_key", F.length("formula").alias("n"))
+    k = lexing.with_sketch(carriers.formulas_wide(s, d)).select("workbook_id", "sketch_key", F.length("formula").alias("n"))
     return k.agg(F.approx_count_distinct(F.struct("workbook_id", "sketch_key"), 0.02).alias("sketch_workbook"), F.percentile_approx("n", [0.5, 0.9, 0.99]).alias("length_quantiles"))
 
 

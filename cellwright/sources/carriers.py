@@ -42,12 +42,11 @@ _WIDE = [
     f"'=INDEX($B$2:$B$' || {_s('l_partkey % 99 + 3')} || ',MATCH(\"' || p_type || '\",A:A,0))'",
     f"'=MAX(F' || {_s('l_orderkey % 30 + 1')} || ':F' || {_s('l_orderkey % 30 + 8')} || ')-MIN(G1:G9)'",
 ]
-FORMULAS_WIDE = f"""SELECT row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate) AS formula_id,
+#: an id of order, line and a number among the rows that share both: one shuffle by order and line, no global sort
+FORMULAS_WIDE = f"""SELECT (l_orderkey * 8 + l_linenumber) * 1000000 + row_number() OVER (PARTITION BY l_orderkey, l_linenumber
+        ORDER BY l_partkey, l_suppkey, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate) AS formula_id,
     l_suppkey AS workbook_id, l_returnflag AS sheet, {_case(_L, _WIDE)} AS formula
     FROM lineitem JOIN part ON l_partkey = p_partkey"""
-#: as FORMULAS_WIDE with a row hash for an id: no global sort, so this is the form for large tables; equal rows share an id
-FORMULAS_WIDE_HASHED = f"""SELECT xxhash64(l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice, l_shipdate) AS formula_id,
-    l_suppkey AS workbook_id, l_returnflag AS sheet, {_case(_L, _WIDE)} AS formula FROM lineitem JOIN part ON l_partkey = p_partkey"""
 
 
 def edits_sql(duck: bool) -> str:
@@ -68,10 +67,10 @@ def formulas(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql(FORMULAS)
 
 
-def formulas_wide(spark: SparkSession, sf_dir: str, hashed: bool = False) -> DataFrame:
+def formulas_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
     """formula_id, workbook_id, sheet, formula."""
     view(spark, sf_dir, "lineitem", "part")
-    return spark.sql(FORMULAS_WIDE_HASHED if hashed else FORMULAS_WIDE)
+    return spark.sql(FORMULAS_WIDE)
 
 
 def formula_edits(spark: SparkSession, sf_dir: str) -> DataFrame:
