@@ -19,7 +19,9 @@ from .common import written
 from .suffix_dedup import packed, unpacked
 
 FIT_ROWS, BOOKS, WORDS, BEAM = 12_000, 16, 256, 4
-ROW_BLOCK, QUERY_BLOCK, RERANK = 16_384, 512, 512
+ROW_BLOCK, QUERY_BLOCK, RERANK = 8192, 8192, 256
+#: queries of a block that are scored at a time
+AT_ONCE = 128
 
 
 def usable(vectors: DataFrame) -> DataFrame:
@@ -120,7 +122,8 @@ def best_of_block(q_ids, q, ids, x, scores, bound, rerank: int, k: int):
                 rough = x[at] @ d[i]
                 floor = np.partition(rough, len(rough) - k)[len(rough) - k]
                 at = at[~(rough + 1e-12 * size[at] < floor - 1e-12 * size[at].max())]
-        exact = (x[at] * q[i]).sum(axis=1)
+        # one term after another, as a plain loop adds them
+        exact = np.add.accumulate(x[at] * q[i], axis=1)[:, -1]
         order = np.lexsort((ids[at], -exact))[:k]
         yield i, at[order], exact[order]
 
@@ -131,7 +134,8 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, fit_rows: int = FIT
     Codebooks are fitted on at most fit_rows rows, taken by the hash of their id; every row is indexed. Rows that repeat a
     vec_id are candidates each (none of them for the query of that id) and answered once each; an empty table, or one
     without usable vectors, gives no row. Rows beyond `rerank` a block are left out only where their error bound
-    proves them worse, so the answer is the exact one; scores beyond a double's range are infinite. Tables meet in blocks of rows and of queries; a block pair is one row."""
+    proves them worse, so the answer is the exact one; scores beyond a double's range are infinite. Tables meet in blocks of rows and of queries; a block pair is one row, so
+    the rows travel once for each QUERY_BLOCK queries. Vectors of another length than most rows have take no part."""
     spark = vectors.sparkSession
     rows = written(usable(vectors), "vectors")
     n, n_q = rows.agg(F.count(F.lit(1)), F.count(F.when(F.col("vec_id") % every == 0, 1))).first()
@@ -181,11 +185,13 @@ def search(vectors: DataFrame, k: int = 20, every: int = 20, fit_rows: int = FIT
                 q_ids, q = unpacked(left)
                 ids, x, codes, norms, bound = unpacked(right)
                 q, x, codes = q.reshape(len(q_ids), -1), x.reshape(len(ids), -1), codes.reshape(len(ids), -1)
-                scores = table_scores(directions(q)[0], books.value, codes, norms)
-                found = list(best_of_block(q_ids, q, ids, x, scores, bound, rerank, k))
-                no = np.concatenate([np.full(len(a), i) for i, a, _ in found])
-                at = np.concatenate([a for _, a, _ in found])
-                yield pa.RecordBatch.from_arrays([pa.array(q_ids[no]), pa.array(no + g * QUERY_BLOCK * 1024), pa.array(ids[at]), pa.array(np.concatenate([s for *_, s in found]))], ["query_id", "query_no", "vec_id", "score"])
+                for low in range(0, len(q), AT_ONCE):
+                    part = slice(low, low + AT_ONCE)
+                    scores = table_scores(directions(q[part])[0], books.value, codes, norms)
+                    found = list(best_of_block(q_ids[part], q[part], ids, x, scores, bound, rerank, k))
+                    no = low + np.concatenate([np.full(len(a), i) for i, a, _ in found])
+                    at = np.concatenate([a for _, a, _ in found])
+                    yield pa.RecordBatch.from_arrays([pa.array(q_ids[no]), pa.array(no + (g << 32)), pa.array(ids[at]), pa.array(np.concatenate([s for *_, s in found]))], ["query_id", "query_no", "vec_id", "score"])
 
     pairs = asked.join(index, ["g", "r"]).select("g", "queries", "rows")
     best = Window.partitionBy("query_id", "query_no").orderBy(F.desc("score"), "vec_id")

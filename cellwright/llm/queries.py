@@ -104,8 +104,27 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     space = r"regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g')"
     return {
+        "op1_additive_ann": """
+            WITH v AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS x FROM embeddings
+                WHERE len(list_filter(embedding, lambda y: y IS NULL OR NOT isfinite(y))) = 0 AND len(list_filter(embedding, lambda y: y <> 0)) > 0),
+            s AS (SELECT q.vec_id AS query_id, e.vec_id AS vec_id, list_inner_product(e.x, q.x) AS score FROM v q JOIN v e ON q.vec_id % 20 = 0 AND e.vec_id <> q.vec_id)
+            SELECT query_id, CAST(rank AS INT) AS rank, vec_id, score
+            FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s) WHERE rank <= 20""",
         "op2_exact_dedup": f"""
             SELECT doc_id, min(doc_id) OVER g AS keep_id, count(*) OVER g AS group_size,
                    doc_id = min(doc_id) OVER g AS kept, sha256(norm) AS text_sha256
             FROM (SELECT doc_id, {space} AS norm FROM documents) WINDOW g AS (PARTITION BY norm)""",
+        # every 100-byte window by its digest: all but the first of equal ones are repeats; their covers are joined into spans
+        "op9_suffix_dedup": """
+            WITH d AS (SELECT doc_id, encode(coalesce(text, '')) AS b, octet_length(encode(coalesce(text, ''))) AS n FROM documents),
+            w AS (SELECT doc_id, i, md5_number(hex(array_slice(b, i + 1, i + 100))) AS h FROM (SELECT doc_id, b, unnest(range(0, n - 99)) AS i FROM d WHERE n >= 100)),
+            r AS (SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY h ORDER BY doc_id, i) AS k FROM w) WHERE k > 1),
+            p AS (SELECT doc_id, i, lag(i + 100) OVER (PARTITION BY doc_id ORDER BY i) AS before FROM r),
+            g AS (SELECT doc_id, i, sum(CASE WHEN i <= before THEN 0 ELSE 1 END) OVER (PARTITION BY doc_id ORDER BY i) AS span FROM p),
+            s AS (SELECT doc_id, span, min(i) AS a, max(i) + 100 AS e FROM g GROUP BY doc_id, span),
+            x AS (SELECT doc_id, list(a ORDER BY a) AS a, list(e ORDER BY a) AS e, sum(e - a) AS removed, count(*) AS spans FROM s GROUP BY doc_id),
+            parts AS (SELECT doc_id, n, b, removed, spans, list_transform(range(1, spans + 2), lambda j:
+                hex(array_slice(b, (CASE WHEN j = 1 THEN 0 ELSE e[j - 1] END) + 1, CASE WHEN j > spans THEN n ELSE a[j] END))) AS kept FROM d LEFT JOIN x USING (doc_id))
+            SELECT doc_id, n AS n_bytes, CAST(coalesce(removed, 0) AS BIGINT) AS n_removed, coalesce(spans, 0) AS n_spans,
+                sha256(CASE WHEN spans IS NULL THEN b ELSE unhex(array_to_string(kept, '')) END) AS kept_sha256 FROM parts""",
     }
