@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import new_path
+from .common import new_path, written
 
 SLOTS = 16_384
 
@@ -95,14 +95,17 @@ def rebalanced(m: SlotMap, load: dict[int, int], near: float = 0.01) -> SlotMap:
 
 
 def slotted(docs: DataFrame, slots: int = SLOTS) -> DataFrame:
-    """doc_id, size (UTF-8 bytes and one; a null text has none), text_crc32, vslot."""
+    """doc_id, size (UTF-8 bytes and one; a null text has none), text_crc32, vslot; written to the shared folder.
+
+    A slot is a hash of doc_id. Rows without an id, of which there may be any number, are told apart by their number."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    return docs.select(
+    records = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"),
         (F.octet_length(text).cast("long") + 1).alias("size"),
         F.crc32(text.cast("binary")).alias("text_crc32"),
-        F.pmod(F.xxhash64("doc_id"), F.lit(slots)).cast("int").alias("vslot"),
+        F.when(F.col("doc_id").isNull(), F.monotonically_increasing_id()).alias("row"),
     )
+    return written(records.withColumn("vslot", F.pmod(F.xxhash64("doc_id", "row"), F.lit(slots)).cast("int")).drop("row"), "records")
 
 
 def slot_loads(records: DataFrame) -> tuple[dict[int, int], dict[int, int]]:
@@ -114,8 +117,9 @@ def slot_loads(records: DataFrame) -> tuple[dict[int, int], dict[int, int]]:
 def shard(docs: DataFrame, shards: int = 16, slots: int = SLOTS, slot_map: SlotMap | None = None) -> tuple[DataFrame, SlotMap]:
     """Records with their shard and their place in it (gapless from 0, by virtual slot, doc_id, checksum).
 
-    Null doc_ids share the slot of null; repeated rows stay, each with a place of its own; an empty table gives no row and
-    an empty map. The one shuffle deals rows by virtual slot, thousands of even runs; a shard is never one task."""
+    Rows without a doc_id are dealt by their number; rows that repeat an id share its slot, each with a place of its own;
+    null and empty texts have size 1; a text of any length is one record of its size, and is not read but for length and
+    checksum; equal texts are not kept together, as no law asks for it; an empty table gives no row and an empty map. The one shuffle deals rows by virtual slot, thousands of even runs; a shard is never one task."""
     records = slotted(docs, slots)
     load, rows = slot_loads(records)
     m = slot_map or balanced(load, shards)
