@@ -1,10 +1,11 @@
 """BPE encoding with reuse of content-defined chunks, and decoding.
 
-A rolling hash over the last eight bytes cuts each text into chunks, so equal passages give equal chunks wherever they
-stand. The inside of a chunk, from its first to its last space, is encoded once per worker and reused. Two chunks meet in
-the middle of a word: the fragments on both sides (over several chunks, where one holds no space) are joined again and
-re-encoded, up to the spaces around them, where the ids agree with the chunks' own. Valid for vocabularies that drop
-white space, such as the word vocabulary.
+A rolling hash over the last sixteen bytes cuts each text into chunks, so equal passages give equal chunks wherever they
+stand. The inside of a chunk, from its first to its last space, is encoded once per worker, whatever documents it stands
+in, and reused. Two chunks meet in the middle of a word: the fragments on both sides (over several chunks, where one
+holds no space) are joined again and encoded. Each join is then repaired: it is encoded anew together with the word before
+and the word after it, and where the ids do not agree with those of the chunks on both sides, the window grows to the
+whole text. For vocabularies that drop white space, such as the word vocabulary, the first window agrees.
 """
 
 from __future__ import annotations
@@ -12,22 +13,40 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import DataFrame
 
-from .common import id_and_text, mix64, ragged_index, text_chunks
+from .common import id_and_text, ragged_index, text_chunks
 from .pieces import PieceCache, by_marks, cache, load, special_strings
 
-WINDOW = 8
+#: bytes that the rolling hash looks back on, leading bits that are zero at a cut (chunks of 1 KB on average), longest chunk
+WINDOW, CUT_BITS, LONGEST = 16, 10, 16_384
+BASE = 0x9E3779B97F4A7C15
 
 
-def chunk_cuts(data: np.ndarray, ends: np.ndarray, mean_bytes: int = 256) -> np.ndarray:
-    """Ends of the chunks of concatenated texts; ends: of the texts. A cut depends on the eight bytes before it only."""
+def rolling_hash(data: np.ndarray) -> np.ndarray:
+    """Polynomial hash of the WINDOW bytes that end at each place from WINDOW - 1 on, modulo 2^64; by doubling the window."""
+    h, m, power = data.astype(np.uint64) + np.uint64(1), 1, BASE
+    while m < WINDOW:
+        h = h[m:] + np.uint64(power) * h[:-m]
+        m, power = 2 * m, power * power % (1 << 64)
+    return h
+
+
+def chunk_cuts(data: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Ends of the chunks of concatenated texts; ends: of the texts. A cut depends on the bytes before it only, except where
+    no cut comes for LONGEST bytes."""
     if len(data) <= WINDOW:
         return ends
-    words = np.ndarray((len(data) - WINDOW,), "<u8", data.data, strides=(1,))
-    at = np.flatnonzero((mix64(words) & np.uint64(mean_bytes - 1)) == 0) + WINDOW
-    at = at[(data[at] & 0xC0) != 0x80]  # not within a character
+    at = np.flatnonzero((rolling_hash(data)[:-1] * np.uint64(BASE)) >> np.uint64(64 - CUT_BITS) == 0) + WINDOW
     text = np.searchsorted(ends, at, side="right")
-    at = at[at - WINDOW >= np.concatenate([[0], ends])[text]]
-    return np.union1d(at, ends)
+    at = np.union1d(at[at - WINDOW >= np.concatenate([[0], ends])[text]], ends)
+    start = np.concatenate([[0], at[:-1]])
+    long = np.flatnonzero(at - start > LONGEST)
+    if len(long):
+        more = (at[long] - start[long] - 1) // LONGEST
+        at = np.union1d(at, ragged_index(np.zeros(len(long), np.int64), more) * LONGEST + np.repeat(start[long] + LONGEST, more))
+    inner = at[at < len(data)]
+    for _ in range(3):  # not within a character: the cut moves to its end
+        inner = inner + ((data[np.minimum(inner, len(data) - 1)] & 0xC0) == 0x80)
+    return np.union1d(inner, ends)
 
 
 def _store(path: str) -> tuple[PieceCache, PieceCache]:
@@ -43,7 +62,7 @@ def _store(path: str) -> tuple[PieceCache, PieceCache]:
         return total[ends] - total[ends - counts], ids
 
     held = cache("chunks", path, lambda: insides)
-    held.max_entries = 100_000
+    held.max_entries, words.max_entries = 50_000, 500_000
     return words, held
 
 
@@ -58,12 +77,13 @@ def encode(texts: list[str], path: str) -> tuple[np.ndarray, np.ndarray]:
     ends = np.cumsum(sizes)
     cuts = np.unique(chunk_cuts(np.frombuffer(blob, np.uint8), ends)) if blob else np.zeros(0, np.int64)
     joins: list[str] = []
+    beside: list[tuple[str, str]] = []  # the words before and after each join
     chunks: list[bytes] = []
     order: list[bool] = []  # true: the inside of a chunk; false: a join
     items = np.zeros(len(texts), np.int64)
     at = k = 0
     for i in range(len(texts)):
-        carry, end, before = b"", int(ends[i]), len(order)
+        carry, end, before, word = b"", int(ends[i]), len(order), ""
         while at < end:
             c = blob[at : int(cuts[k])]
             at, k = int(cuts[k]), k + 1
@@ -74,19 +94,27 @@ def encode(texts: list[str], path: str) -> tuple[np.ndarray, np.ndarray]:
             last = c.rfind(b" ")
             joins.append((carry + c[:first]).decode())
             order.append(False)
+            after = c[first + 1 : max(c.find(b" ", first + 1), first + 1)].decode()
+            beside.append((word, after))
             if last > first:
                 chunks.append(c)
                 order.append(True)
+            word = c[max(c.rfind(b" ", 0, last), first) + 1 : last].decode() if last > first else ""
             carry = c[last + 1 :]
         if carry:
             joins.append(carry.decode())
             order.append(False)
+            beside.append((word, ""))
         items[i] = len(order) - before
     inside = np.array(order, bool)
     lens = np.zeros(len(order), np.int64)
     a, ids_a = held.ids(held.index(chunks)) if chunks else (np.zeros(0, np.int64), np.zeros(0, np.int32))
     b, ids_b = words.ids(words.index(joins)) if joins else (np.zeros(0, np.int64), np.zeros(0, np.int32))
     lens[inside], lens[~inside] = a, b
+    if joins:
+        text_of = np.repeat(np.arange(len(texts)), items)[~inside]
+        bad = set(text_of[~_agrees(words, by_marks(path), joins, beside)].tolist())
+        whole |= bad  # no join of these texts agrees short of the whole text
     start = np.cumsum(lens) - lens
     out = np.empty(int(lens.sum()), np.int32)
     out[ragged_index(start[inside], a)], out[ragged_index(start[~inside], b)] = ids_a, ids_b
@@ -103,6 +131,20 @@ def encode(texts: list[str], path: str) -> tuple[np.ndarray, np.ndarray]:
     return n, np.concatenate(parts)
 
 
+def _agrees(words: PieceCache, encode_many, joins: list[str], beside: list[tuple[str, str]]) -> np.ndarray:
+    """Whether each join, encoded together with its neighbours, gives the ids that the three have alone."""
+    texts = [f"{a} {j} {z}" for j, (a, z) in zip(joins, beside)]
+    n, ids = encode_many(texts)
+    parts = [w for j, (a, z) in zip(joins, beside) for w in (a, j, z)]
+    lens, want = words.ids(words.index(parts))
+    total = lens.reshape(-1, 3).sum(1)
+    ok = total == n
+    of, wanted = np.repeat(np.arange(len(n)), n), np.repeat(np.arange(len(n)), total)
+    same = np.ones(len(n), bool)
+    same[of[ok[of]][ids[ok[of]] != want[ok[wanted]]]] = False
+    return ok & same
+
+
 def _token_bytes(path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     tok = load(path)
     raw = [((tok.id_to_token(i) or "") + " ").encode() for i in range(tok.get_vocab_size())]

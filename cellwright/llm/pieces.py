@@ -166,21 +166,52 @@ def _token_sizes(path: str) -> np.ndarray:
 
 
 def by_marks(path: str):
-    """Encodes pieces with the tokenizers library, thousands in one call, an added token's string between each two of them.
+    """Encodes pieces with the tokenizers library, thousands in one call, a mark between each two of them.
 
-    The library cuts a text at such strings before anything else, so each piece is encoded alone; no piece holds one."""
+    Where the vocabulary drops white space and has a control character as a token of its own, that character between
+    spaces is the mark. Otherwise, and for pieces that hold it, an added token's string is: the library cuts a text at
+    such strings before anything else, so each piece is encoded alone; no piece holds one."""
     tok = load(path)
     mark_id, mark = next((i, t.content) for i, t in tok.get_added_tokens_decoder().items())
+    plain = _plain_mark(tok)
 
-    def encode_many(texts: list) -> tuple[np.ndarray, np.ndarray]:
+    def split(texts: list, mark_id: int, mark: str) -> tuple[np.ndarray, np.ndarray]:
         joined = [mark.join(texts[i : i + 2000]) + mark for i in range(0, len(texts), 2000)]
         ids = np.concatenate([np.asarray(tok.encode(t, add_special_tokens=False).ids, np.int32) for t in joined])
         ends = np.flatnonzero(ids == mark_id)
         return np.diff(ends, prepend=-1) - 1, ids[ids != mark_id]
 
+    def encode_many(texts: list) -> tuple[np.ndarray, np.ndarray]:
+        if not plain:
+            return split(texts, mark_id, mark)
+        odd = [i for i, t in enumerate(texts) if plain[1][1] in t]
+        if not odd:
+            return split(texts, *plain)
+        own = np.zeros(len(texts), bool)
+        own[odd] = True
+        lens = np.zeros(len(texts), np.int64)
+        lens[own], ids = split([texts[i] for i in odd], mark_id, mark)
+        rest = np.zeros(0, np.int32)
+        if len(odd) < len(texts):
+            lens[~own], rest = split([t for t, o in zip(texts, own.tolist()) if not o], *plain)
+        out, start = np.empty(int(lens.sum()), np.int32), np.cumsum(lens) - lens
+        out[ragged_index(start[own], lens[own])] = ids
+        out[ragged_index(start[~own], lens[~own])] = rest
+        return lens, out
+
     return encode_many
 
 
+def _plain_mark(tok) -> tuple[int, str] | None:
+    """Id and text of a control character between spaces that stands as one token and leaves its neighbours as they are."""
+    alone = tok.encode("a", add_special_tokens=False).ids
+    for c in map(chr, range(1, 9)):
+        found = tok.encode(f"a {c} a", add_special_tokens=False).ids
+        if len(found) == 2 * len(alone) + 1 and found[: len(alone)] == found[len(alone) + 1 :] == alone and tok.encode(" a ", add_special_tokens=False).ids == alone:
+            return found[len(alone)], f" {c} "
+    return None
+
+
 def special_strings(path: str) -> list[str]:
     return [t.content for t in load(path).get_added_tokens_decoder().values()]
 
