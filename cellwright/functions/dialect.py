@@ -67,6 +67,9 @@ class Spark:
     def sum(self, xs: str) -> str:
         return f"aggregate({xs}, cast(0 as bigint), (acc, y) -> acc + y)"
 
+    def most(self, xs: str) -> str:
+        return f"array_max({xs})"
+
     def div(self, a: str, b: str) -> str:
         return f"(({a}) div ({b}))"
 
@@ -128,6 +131,9 @@ class Duck(Spark):
     def sum(self, xs: str) -> str:
         return f"cast(coalesce(list_sum({xs}), 0) as bigint)"
 
+    def most(self, xs: str) -> str:
+        return f"list_max({xs})"
+
     def div(self, a: str, b: str) -> str:
         return f"(({a}) // ({b}))"
 

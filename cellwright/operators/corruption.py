@@ -140,11 +140,12 @@ def span_mask(df: DataFrame, rate: int, mean: int, seed: int = 1, law: str = "fi
     return _steps(df, steps).withColumnRenamed("span_source", "source")
 
 
-def pretraining_pairs(df: DataFrame, batches: int, seed: int = 1, weights: dict[str, int] = WEIGHTS, key: str = "formula_id", text: str = "formula") -> DataFrame:
-    """key, batch_id, objective, variant, source, target. Every objective's target is the whole formula.
+def pretraining_pairs(df: DataFrame, batches: int, seed: int | str = 1, weights: dict[str, int] = WEIGHTS, key: str = "formula_id", text: str = "formula", more: tuple[str, ...] = ()) -> DataFrame:
+    """key, batch_id, objective, variant, source, target. Every objective's target is the whole formula. seed: a number, or
+    a column of df; more: columns of df to keep.
 
     Objectives are applied to their own rows only: a filter for each, then one expression, then a union."""
-    dealt = assign_objectives(lexing.with_tokens(df.select(key, text), text), batches, seed, weights, key)
+    dealt = assign_objectives(lexing.with_tokens(df.select(key, text, *more), text), batches, seed, weights, key)
     out = []
     for name in weights:
         rows = dealt.where(F.col("objective") == name)
@@ -161,13 +162,41 @@ def pretraining_pairs(df: DataFrame, batches: int, seed: int = 1, weights: dict[
             out.append(rows.withColumn("source", F.expr(random_noise(SPARK, seed, key))))
         else:
             out.append(rows.withColumn("source", F.col(text)))
-    parts = [o.select(key, "batch_id", "objective", "variant", "source", F.col(text).alias("target")) for o in out]
+    parts = [o.select(key, *more, "batch_id", "objective", "variant", "source", F.col(text).alias("target")) for o in out]
     whole = parts[0]
     for p in parts[1:]:
         whole = whole.unionByName(p)
     return whole
 
 
+def pretraining_stream(df: DataFrame, batches: int, epochs: int = 10, weights: dict[str, int] = WEIGHTS, key: str = "formula_id") -> DataFrame:
+    """Curated formulas as training pairs of several epochs: epoch, batch_id, objective, variant, source, target.
+
+    Each formula is read once an epoch; the epoch is the seed, so it meets other batches, objectives and masks in each. df:
+    deduplicated formulas. One plan whatever the number of epochs: rows are multiplied, not queries."""
+    rows = df.select(key, "formula", F.explode(F.sequence(F.lit(1), F.lit(epochs))).alias("epoch"))
+    return pretraining_pairs(rows, batches, "epoch", weights, key, more=("epoch",))
+
+
+def corruption_audit(pairs: DataFrame, key: str = "formula_id") -> DataFrame:
+    """Of each objective and variant: pairs, runs of masks, characters hidden, pieces between masks that are no whole tokens of
+    the formula (none for lexer spans), and batches that hold more than one objective (none)."""
+    pieces = f"flatten(transform(split(source, '{MASK}', -1), p -> {lexing.lex(SPARK, 'p')}))"
+    broken = F.expr(f"exists({pieces}, x -> x <> '' and not array_contains({lexing.lex(SPARK, 'target')}, x))")
+    lone = pairs.groupBy("batch_id").agg(F.countDistinct("objective", "variant").alias("kinds"))
+    rows = pairs.join(lone, "batch_id")
+    masked = F.col("objective").isin("span", "generic")
+    runs = (F.length("source") - F.length(F.replace("source", F.lit(MASK), F.lit("")))) / len(MASK)
+    left = F.length(F.replace("source", F.lit(MASK), F.lit("")))
+    return rows.groupBy("objective", "variant").agg(
+        F.count(F.lit(1)).alias("n"),
+        F.sum(runs.cast("long")).alias("runs"),
+        F.round(F.sum(F.length("target") - left) / F.sum(F.length("target")), 6).alias("hidden"),
+        F.sum(F.when(masked, broken.cast("long")).otherwise(F.lit(0))).alias("broken"),
+        F.sum((F.col("kinds") > 1).cast("long")).alias("mixed"),
+    )
+
+
 def corruption_report(pairs: DataFrame) -> DataFrame:
     """Of each objective and variant: rows, batches, masks a row, share unchanged, mean lengths."""
     masks = (F.length("source") - F.length(F.replace("source", F.lit(MASK), F.lit("")))) / len(MASK)

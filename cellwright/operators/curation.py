@@ -74,6 +74,17 @@ def dedup_report(df: DataFrame) -> DataFrame:
     return n.select(rows.alias("r")).select("r.level", "r.n", F.round(F.col("r.raw") / F.col("r.n"), 6).alias("ratio"))
 
 
+def size_report(df: DataFrame, parameters: list[tuple[str, int]] = ()) -> DataFrame:
+    """what, n: workbooks, formulas at each level of curation, pretokens, and the published sizes of models in millions."""
+    keyed = lexing.with_sketch(df).select("workbook_id", "sketch_key")
+    c = keyed.agg(F.countDistinct("workbook_id").alias("a"), F.count(F.lit(1)).alias("b"), F.countDistinct("workbook_id", "sketch_key").alias("c"), F.countDistinct("sketch_key").alias("d"))
+    p = df.select(F.explode(F.expr(lexing.pretokens(SPARK, "formula"))).alias("p")).agg(F.count(F.lit(1)).alias("e"), F.countDistinct("p").alias("f"))
+    names = zip("abcdef", ("workbooks", "formulas", "kept per workbook", "kept globally", "pretokens", "distinct pretokens"))
+    rows = [F.struct(F.lit(x).alias("what"), F.col(k).cast("double").alias("n")) for k, x in names]
+    rows += [F.struct(F.lit(f"millions of parameters, {a}").alias("what"), F.lit(float(b)).alias("n")) for a, b in parameters]
+    return c.crossJoin(p).select(F.explode(F.array(*rows)).alias("r")).select("r.what", "r.n")  # one row each
+
+
 def function_counts(df: DataFrame) -> DataFrame:
     """fn, n: calls of each function."""
     names = F.expr(f"transform(filter(sequence(1, size(tokens)), i -> size(tokens) > 0 and get(kinds, i - 1) = 'function'), i -> translate(get(tokens, i - 1), '{'abcdefghijklmnopqrstuvwxyz'}', '{'ABCDEFGHIJKLMNOPQRSTUVWXYZ'}'))")

@@ -42,7 +42,7 @@ def divergence(gold: DataFrame, cands: DataFrame, k: int = 5) -> DataFrame:
 
 def pearson(df: DataFrame, x: str, y: str) -> DataFrame:
     """Correlation in one pass; null where a side is constant."""
-    return df.agg(F.round(F.corr(x, y), 6).alias("pearson"), F.count(F.lit(1)).alias("n"))
+    return df.agg(F.round(F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y)), 6).alias("pearson"), F.count(F.lit(1)).alias("n"))
 
 
 def timed(df: DataFrame, repeats: int = 1, counted: bool = True) -> tuple[float, int]:

@@ -15,32 +15,59 @@ from cellwright.functions.dialect import SPARK, Spark
 DIM = 16
 
 
-def masked_sample(df: DataFrame, n: int, seed: int = 1, key: str = "formula_id") -> DataFrame:
-    """id, tokens (constants masked) of the n formulas of lowest keyed hash; formulas equal after masking count once."""
-    low = df.withColumn("h", F.expr(SPARK.u32(str(seed), key, "'similarity'"))).orderBy("h", key).limit(n).select(key, "formula")
-    masked = lexing.with_tokens(low).withColumn("masked", F.expr(lexing.sketch(SPARK, "tokens", "kinds", ("number", "string"))))
-    return masked.groupBy("masked").agg(F.min(key).alias("id")).select("id", F.expr(lexing.lex(SPARK, "masked")).alias("tokens"))
+def masked(df: DataFrame, key: str = "formula_id") -> DataFrame:
+    """id, tokens (constants masked) of all formulas; those equal after masking count once, under the smallest id."""
+    out = lexing.with_tokens(df.select(key, "formula")).withColumn("masked", F.expr(lexing.sketch(SPARK, "tokens", "kinds", ("number", "string"))))
+    return out.groupBy("masked").agg(F.min(key).alias("id")).select("id", F.expr(lexing.lex(SPARK, "masked")).alias("tokens"))
+
+
+def _lowest(df: DataFrame, n: int, seed: int, key: str) -> DataFrame:
+    return df.withColumn("h", F.expr(SPARK.u32(str(seed), key, "'similarity'"))).orderBy("h", key).limit(n).drop("h")
+
+
+def masked_sample(df: DataFrame, n: int = 1000, seed: int = 1, key: str = "formula_id") -> DataFrame:
+    """As masked, of the n formulas of lowest keyed hash: the evaluation set, of the published size."""
+    return masked(_lowest(df, n, seed, key), key)
+
+
+def similarity_sets(df: DataFrame, n_train: int = 10_000, n_eval: int = 1000, seed: int = 1, key: str = "formula_id") -> tuple[DataFrame, DataFrame]:
+    """Training and evaluation formulas (id, tokens), disjoint also after masking; sizes are the published ones."""
+    held = masked_sample(df, n_eval, seed, key)
+    low = _lowest(df, n_train + n_eval, seed, key)
+    train = masked(low, key).withColumn("m", F.array_join("tokens", "")).join(held.select(F.array_join("tokens", "").alias("m")), "m", "left_anti")
+    return train.drop("m"), held
+
+
+def paired(rows: DataFrame, partners: int = 10) -> DataFrame:
+    """id_a, id_b, ta, tb: each row with `partners` others at fixed distances in the order of a hash, a bounded sample of all pairs."""
+    order = Window.orderBy(F.xxhash64("id"), "id")  # rows are a bounded sample
+    ranked = rows.withColumn("r", F.row_number().over(order) - 1).cache()
+    n = ranked.count()
+    steps = sorted({max(1, (7919 * k * k + k) % max(n, 2)) for k in range(1, partners + 1)})
+    a = ranked.select(F.col("id").alias("id_a"), F.col("tokens").alias("ta"), F.explode(F.array(*(F.pmod(F.col("r") + F.lit(k), F.lit(max(n, 1))) for k in steps))).alias("r"))
+    return a.join(ranked.select("r", F.col("id").alias("id_b"), F.col("tokens").alias("tb")), "r").where("id_a <> id_b").drop("r")
 
 
 def edit_similarity(d: Spark, a: str, b: str) -> str:
     """1 - Levenshtein distance over tokens / the longer length. Tokens of the pair are numbered and written as one character
     each, so the engine's string distance applies."""
+    # the pair's distinct tokens are bound once, as a field of a struct: written into the inner lambda they would be made anew for each token
     if type(d) is Spark:
-        both = f"array_distinct(concat({a}, {b}))"
-        low, high = "chr(array_position({0}, x))", "decode(unhex(hex(19968 + array_position({0}, x))), 'UTF-16BE')"
-        code = f"case when size({both}) < 127 then {{1}}".format(both, low.format(both)) + f" else {high.format(both)} end"
-        left, right = (f"array_join(transform({x}, x -> {code}), '')" for x in (a, b))
-        n = f"greatest(size({a}), size({b}))"
+        bound = d.arr(d.names(a=a, b=b, u=f"array_distinct(concat({a}, {b}))"))
+        code = "case when size(z.u) < 127 then chr(array_position(z.u, x)) else decode(unhex(hex(19968 + array_position(z.u, x))), 'UTF-16BE') end"
+        left, right = (f"array_join(transform({x}, x -> {code}), '')" for x in ("z.a", "z.b"))
+        n = "greatest(size(z.a), size(z.b))"
     else:
-        both = f"list_distinct({a} || {b})"
-        left, right = (f"array_to_string(list_transform({x}, lambda x: chr(CAST(list_position({both}, x) AS INT))), '')" for x in (a, b))
-        n = f"greatest(len({a}), len({b}))"
-    return f"(case when {n} = 0 then 1.0 else 1.0 - cast(levenshtein({left}, {right}) as double) / {n} end)"
+        bound = d.arr(d.names(a=a, b=b, u=f"list_distinct({a} || {b})"))
+        left, right = (f"array_to_string(list_transform({x}, lambda x: chr(CAST(list_position(z.u, x) AS INT))), '')" for x in ("z.a", "z.b"))
+        n = "greatest(len(z.a), len(z.b))"
+    one = f"(case when {n} = 0 then cast(1 as double) else 1 - cast(levenshtein({left}, {right}) as double) / {n} end)"
+    return d.at(d.each(bound, "z", one), "1")
 
 
 def pairwise(sample: DataFrame, similarity: str | None = None) -> DataFrame:
-    """id_a < id_b, sim for all pairs of a bounded sample (thousands): blocks of rows meet blocks of rows by equal keys."""
-    blocks = 16
+    """id_a < id_b, sim for all pairs of a bounded sample (thousands): blocks of about a hundred rows meet blocks by equal keys."""
+    blocks = max(4, sample.count() // 100)
     left = sample.select(F.col("id").alias("id_a"), F.col("tokens").alias("ta"), F.pmod("id", F.lit(blocks)).alias("x"))
     right = sample.select(F.col("id").alias("id_b"), F.col("tokens").alias("tb"), F.pmod("id", F.lit(blocks)).alias("y"))
     grid = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long")))
@@ -68,10 +95,16 @@ def edit_sim_join(rows: DataFrame, tau: float) -> DataFrame:
 
 
 def hash_pooled(d: Spark, tokens: str, dim: int = DIM, pool: str = "mean") -> str:
-    """Pooled token vectors of signs drawn by hash (a stand-in for an encoder): sum of signs over tokens, or its mean."""
+    """Pooled token vectors drawn by hash (a stand-in for an encoder): components are whole numbers from -3 to 3 but for mean
+    and sum, whose tokens have signs. pool: mean, sum, max, first (that of the first token after the sign that begins a
+    formula)."""
     sign = d.each(tokens, "x", f"2 * ({d.u32('x', 'j', "'vector'")} % 2) - 1")
-    total = f"cast({d.sum(sign)} as double)"
+    level = d.each(tokens, "x", f"cast({d.u32('x', 'j', "'vector'")} % 7 as bigint) - 3")
     n = d.size(tokens)
+    if pool in ("max", "first"):
+        one = d.most(level) if pool == "max" else f"coalesce({d.at(level, '2')}, {d.at(level, '1')})"
+        return d.each(d.seq("1", str(dim)), "j", f"cast({one} as double)")
+    total = f"cast({d.sum(sign)} as double)"
     return d.each(d.seq("1", str(dim)), "j", f"{total} / {n}" if pool == "mean" else total)
 
 
@@ -94,12 +127,21 @@ def scored_pairs(sample: DataFrame) -> DataFrame:
     return pairs.join(a, "id_a").join(b, "id_b").select("id_a", "id_b", "sim", F.expr(cosine(SPARK, "va", "vb")).alias("cos"))
 
 
-def retrieve(vectors: DataFrame, every: int = 20, k: int = 10) -> DataFrame:
+def retrieve(vectors: DataFrame, every: int = 20, k: int = 10, rows_at_once: int = 8192, queries_at_once: int = 1024) -> DataFrame:
     """query, id, rank, cos: exact nearest rows of each query (ids divisible by every) by cosine; ties to the smaller id.
 
-    Queries are dealt to blocks; row_number with a limit keeps k rows of each group and task before the shuffle."""
-    q = vectors.where(F.col("vec_id") % every == 0).select(F.col("vec_id").alias("query"), F.col("embedding").alias("qv"), F.lit(0).alias("z"))
-    pairs = vectors.withColumn("z", F.lit(0)).join(q, "z").where("vec_id <> query")
+    Rows and queries are dealt to blocks of bounded size, each pair of blocks meets by equal keys, and row_number with a
+    limit keeps k rows of each query and task before the shuffle."""
+    n, n_q = vectors.agg(F.count(F.lit(1)), F.count(F.when(F.col("vec_id") % every == 0, 1))).first()
+    blocks, groups = max(1, -(-n // rows_at_once)), max(1, -(-n_q // queries_at_once))
+
+    def all_of(m: int):
+        return F.explode(F.sequence(F.lit(0), F.lit(m - 1)))
+
+    h = F.xxhash64("vec_id")
+    q = vectors.where(F.col("vec_id") % every == 0).select(F.col("vec_id").alias("query"), F.col("embedding").alias("qv"), F.pmod(h, F.lit(groups)).cast("int").alias("g")).withColumn("b", all_of(blocks))
+    rows = vectors.select("vec_id", "embedding", F.pmod(h, F.lit(blocks)).cast("int").alias("b")).withColumn("g", all_of(groups))
+    pairs = rows.hint("shuffle_hash").join(q, ["g", "b"]).where("vec_id <> query")
     s = pairs.select("query", F.col("vec_id").alias("id"), F.round(F.expr(cosine(SPARK, "embedding", "qv")), 9).alias("cos"))
     return s.withColumn("rank", F.row_number().over(Window.partitionBy("query").orderBy(F.desc("cos"), "id"))).where(F.col("rank") <= k)
 
@@ -199,34 +241,25 @@ class EarlyStopping:
         return self.bad >= self.patience
 
 
-def fit_head(pairs: DataFrame, dim: int = DIM, hidden: int = 32, epochs: int = 10, rate: float = 0.05, seed: int = 1, patience: int = 5) -> tuple[Head, list[float]]:
-    """Fits the head to pairs (va, vb, sim); one job a step: gradients are summed per task, then on the driver (fixed size)."""
-    import pickle
-
+def fit_head(pairs: DataFrame, dim: int = DIM, hidden: int = 32, epochs: int = 10, rate: float = 1e-4, warmup: int = 100, decay: float = 0.1, batch: int = 256, seed: int = 1, patience: int = 5) -> tuple[Head, list[float]]:
+    """Fits the head to a bounded sample of pairs (va, vb, sim), which comes to the driver; rate, warm-up, decay and epochs
+    as published. The order of pairs is that of their values' hash, so a rerun gives the same head."""
     rng = np.random.default_rng(seed)
     head = Head({"w1": rng.normal(0, dim**-0.5, (dim, hidden)), "b1": np.zeros(hidden), "w2": rng.normal(0, hidden**-0.5, (hidden, dim)), "b2": np.zeros(dim)})
-    opt, early, losses = Adafactor(rate, decay=0.0), EarlyStopping(patience), []
-    for epoch in range(epochs):
-        shared = pairs.sparkSession.sparkContext.broadcast(head)
-
-        def run(batches):
-            loss, n, total = 0.0, 0, None
-            for b in batches:
-                if len(b):
-                    part, g = shared.value.gradient(np.stack(b["va"]), np.stack(b["vb"]), b["sim"].to_numpy())
-                    loss, n = loss + part, n + len(b)
-                    total = g if total is None else {k: total[k] + g[k] for k in g}
-            if n:
-                import pandas as pd
-
-                yield pd.DataFrame({"loss": [loss], "n": [n], "g": [pickle.dumps(total)]})
-
-        parts = sorted(pairs.mapInPandas(run, "loss double, n long, g binary").collect(), key=lambda r: bytes(r["g"]))
-        n = sum(r["n"] for r in parts)
-        grads = [pickle.loads(bytes(r["g"])) for r in parts]
-        opt.update(head.weights, {k: sum(g[k] for g in grads) / n for k in head.weights}, linear_schedule(epoch + 1, 2, epochs + 1))
-        losses.append(sum(r["loss"] for r in parts) / n)
-        shared.unpersist()
+    rows = pairs.select("va", "vb", "sim", F.xxhash64("va", "vb", "sim").alias("h")).orderBy("h").toPandas()
+    if not len(rows):
+        return head, []
+    xa, xb, y = np.stack(rows["va"]), np.stack(rows["vb"]), rows["sim"].to_numpy()
+    opt, early, losses, step = Adafactor(rate, decay=decay), EarlyStopping(patience), [], 0
+    total = epochs * -(-len(y) // batch)
+    for _ in range(epochs):
+        loss, order = 0.0, rng.permutation(len(y))
+        for a in range(0, len(y), batch):
+            i = order[a : a + batch]
+            part, g = head.gradient(xa[i], xb[i], y[i])
+            loss, step = loss + part, step + 1
+            opt.update(head.weights, {k: v / len(i) for k, v in g.items()}, linear_schedule(step, min(warmup, total // 2), total))
+        losses.append(loss / len(y))
         if early.stop(losses[-1]):
             break
     return head, losses

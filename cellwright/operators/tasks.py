@@ -25,6 +25,12 @@ def split_reserved(df: DataFrame, n: int, seed: int = 1, key: str = "formula_id"
     return reserved, rest
 
 
+def stratified(df: DataFrame, by: str, percent: dict, seed: int = 1, key: str = "formula_id") -> DataFrame:
+    """Rows of each stratum kept by keyed hash, in percent of the stratum; strata that are not named go."""
+    share = " ".join(f"when {v!r} then {p}" for v, p in percent.items())
+    return df.where(F.expr(f"{hash_rank(SPARK, seed, key, 'stratum')} % 100 < case {by} {share} end"))
+
+
 def repair_set(df: DataFrame, seed: int = 1, key: str = "formula_id", ops: list[str] | None = None) -> DataFrame:
     """example_id, op_id, buggy, intended of well-formed formulas to which an operator applies."""
     tokens = lexing.with_tokens(df.select(key, "formula"))

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import heapq
-from collections import defaultdict
+from collections import Counter, defaultdict
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -90,9 +90,61 @@ def train_merges(words: list[tuple[str, int]], merges: int) -> list[tuple[str, s
     return out
 
 
-def bpe_train(words: DataFrame, merges: int, max_types: int = 2_000_000) -> DataFrame:
-    """rank, left, right, freq. Training reads the max_types most frequent word types, a documented bound, in one task."""
+def independent_head(pairs: list[tuple[str, str, int]]) -> int:
+    """How many of the pairs, most frequent first (ties to the smaller pair), can be merged at once with the result of
+    merging one after another, if the list holds all pairs of every count in it but the last.
+
+    A merge changes the counts of pairs that share a symbol with it, and new pairs are no more frequent than those. So
+    the head ends before a pair that shares a symbol with one before it; and where pairs of one count follow each other,
+    before a count at which any pair shares a symbol with the head, as ties go by symbols that a merge makes longer."""
+    taken, n, k = set(), 0, 0
+    while k < len(pairs):
+        end = k
+        while end < len(pairs) and pairs[end][2] == pairs[k][2]:
+            end += 1
+        level = pairs[k:end]
+        clash = any(a in taken or b in taken for a, b, _ in level)
+        own = Counter(x for a, b, _ in level for x in {a, b})
+        if clash or end == len(pairs) or any(c > 1 for c in own.values()):
+            return n if n else 1
+        taken.update(own)
+        n += len(level)
+        k = end
+    return max(n, 1)
+
+
+def bpe_train_distributed(words: DataFrame, merges: int, at_once: int = 2000, save=None) -> list[tuple[str, str, int]]:
+    """Merges over any number of word types: pair counts are summed by Spark each round, and a round merges the head of the
+    list that does not depend on itself. The result is that of train_merges. save: writes the words' state every few
+    rounds, so that lineage stays short; a checkpoint in the shared folder by default."""
+    state, out, rounds = spelled(words).select("freq", "w"), [], 0
+    while len(out) < merges:
+        top = pair_counts(state).where("n > 0").orderBy(F.desc("n"), "left", "right").limit(at_once + 1).collect()
+        if not top:
+            break
+        pairs = [(r["left"], r["right"], r["n"]) for r in top]
+        # what the limit cuts off may belong to the last count
+        n = len(pairs) if len(pairs) == 1 else independent_head(pairs if len(pairs) > at_once else [*pairs, ("", "", 0)])
+        head = pairs[: min(n, merges - len(out))]
+        out += head
+        for a, b, _ in head:
+            state = state.withColumn("w", F.replace("w", F.lit(f"<{a}><{b}>"), F.lit(f"<{a}{b}>")))
+        rounds += 1
+        if rounds % 8 == 0:
+            state = (save or (lambda x: x.checkpoint()))(state)
+    return out
+
+
+#: the published number of tokens
+VOCABULARY = 16_000
+
+
+def bpe_train(words: DataFrame, merges: int, in_one_task: int = 2_000_000) -> DataFrame:
+    """rank, left, right, freq. Up to in_one_task word types are trained in one task, with counts kept up to date for each
+    merge; beyond that, in rounds over distributed counts. Both read all types and give the same merges."""
     schema = "rank int, left string, right string, freq long"
+    if words.count() > in_one_task:
+        return words.sparkSession.createDataFrame([(i, *m) for i, m in enumerate(bpe_train_distributed(words, merges))], schema)
 
     def run(pdf):
         import pandas as pd
@@ -100,8 +152,7 @@ def bpe_train(words: DataFrame, merges: int, max_types: int = 2_000_000) -> Data
         rows = sorted(zip(pdf["word"], pdf["freq"]), key=lambda r: r[0])
         return pd.DataFrame([(i, a, b, n) for i, (a, b, n) in enumerate(train_merges(rows, merges))], columns=["rank", "left", "right", "freq"])
 
-    top = words.orderBy(F.desc("freq"), "word").limit(max_types)
-    return top.groupBy(F.lit(0).alias("all")).applyInPandas(run, schema)
+    return words.groupBy(F.lit(0).alias("all")).applyInPandas(run, schema)
 
 
 def encode_word(word: str, rank: dict[tuple[str, str], int]) -> list[str]:
@@ -133,7 +184,7 @@ def bpe_encode(words: DataFrame, merges: DataFrame) -> DataFrame:
     return words.select("word").distinct().mapInArrow(run, "word string, pieces array<string>")
 
 
-def build_vocab(merges: DataFrame, letters: list[str], size: int = 16_000) -> DataFrame:
+def build_vocab(merges: DataFrame, letters: list[str], size: int = VOCABULARY) -> DataFrame:
     """id, token, class: specials, marks, digits, functions, letters, then merged pieces by rank; never above size."""
     spark = merges.sparkSession
     fixed = [(t, "special") for t in SPECIALS] + [(t, "mark") for t in MARKS] + [(str(i), "digit") for i in range(10)]
@@ -170,6 +221,24 @@ def tokenizer_report(df: DataFrame, text: str = "formula") -> DataFrame:
     return t.agg(F.count(F.lit(1)).alias("formulas"), F.sum("n").cast("long").alias("tokens"), F.round(F.avg("n"), 6).alias("tokens_each"), F.round(F.sum("chars") / F.sum("n"), 6).alias("chars_each"), F.round(F.sum("words") / F.sum("n"), 6).alias("word_share"))
 
 
+def diagnostics(df: DataFrame, text: str = "formula") -> DataFrame:
+    """Quantiles of the number of tokens, tokens that cross a mark (none by construction), share of single characters beyond
+    the fixed tokens and letters, and characters for each token of the model's input."""
+    t = lexing.with_tokens(df, text).select(F.length(text).alias("chars"), F.expr(lexing.pretokens(SPARK, text)).alias("p"), F.expr(lexing.model_tokens(SPARK, "tokens", "kinds")).alias("m"))
+    crossing = F.expr(r"size(filter(p, x -> length(x) > 1 and x rlike '[\\p{L}0-9]' and x rlike '[^\\p{L}0-9]'))")
+    unknown = F.expr("size(filter(p, x -> x rlike '^[^ -~]$'))")
+    n = F.size("p")
+    return t.select("chars", n.alias("n"), crossing.alias("x"), unknown.alias("u"), F.expr("size(flatten(m))").alias("m")).agg(
+        F.count(F.lit(1)).alias("formulas"),
+        F.expr("percentile_disc(0.5) within group (order by n)").cast("long").alias("half"),
+        F.expr("percentile_disc(0.9) within group (order by n)").cast("long").alias("nine_tenths"),
+        F.max("n").cast("long").alias("longest"),
+        F.sum("x").cast("long").alias("crossing"),
+        F.round(F.sum("u") / F.sum("n"), 6).alias("unknown"),
+        F.round(F.sum("chars") / F.sum("m"), 6).alias("chars_each_model_token"),
+    )
+
+
 def case_fragmentation(df: DataFrame, text: str = "formula") -> DataFrame:
     """word (lower case), spellings: tokens that a case-sensitive vocabulary would keep apart."""
     w = df.select(F.explode(F.expr(lexing.pretokens(SPARK, text, False))).alias("t")).where(F.col("t").rlike("^[A-Za-z]"))

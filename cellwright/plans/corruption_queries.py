@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from cellwright.functions import lexing, noise
 from cellwright.functions.dialect import DUCK, SPARK
 from cellwright.operators import corruption as c
+from cellwright.operators import curation
 from cellwright.plans.twins import lexed
 from cellwright.sources import carriers
 
@@ -77,11 +78,11 @@ for _op in noise.CATALOGUE:
 _OPS = list(noise.CATALOGUE)
 
 
-def noisy_cte(at: str = PLACED, name: str = "z", ops: list[str] = _OPS) -> str:
+def noisy_cte(at: str = PLACED, name: str = "z", ops: list[str] = _OPS, seed: int | str = SEED) -> str:
     """CTE with op_id and noisy for rows that have the helper columns."""
     return f""", {name}_r AS (SELECT *, {', '.join(f'{noise.rewrite(DUCK, o)} AS {o}' for o in ops)} FROM {at}),
         {name}_v AS (SELECT * REPLACE ({', '.join(f'{noise.valid(DUCK, o)} AS {o}' for o in ops)}) FROM {name}_r),
-        {name}_p AS (SELECT *, {noise.pick(DUCK, SEED, KEY, ops)} AS picked FROM {name}_v), {name} AS (SELECT *, picked.op_id AS op_id, picked.noisy AS noisy FROM {name}_p)"""
+        {name}_p AS (SELECT *, {noise.pick(DUCK, seed, KEY, ops)} AS picked FROM {name}_v), {name} AS (SELECT *, picked.op_id AS op_id, picked.noisy AS noisy FROM {name}_p)"""
 
 
 put(
@@ -95,28 +96,32 @@ put(
     "SELECT * FROM (VALUES " + ", ".join(f"('{k}', '{a}', '{b}', {str(x).lower()})" for k, (a, b, x) in noise.CATALOGUE.items()) + ") v(op_id, name, category, attested)",
 )
 
-_DEALT = f""", m0 AS (SELECT *, {c.batch_of(DUCK, SEED, KEY, BATCHES)} AS batch_id FROM f), m1 AS (SELECT *, {c.objective_of(DUCK, SEED)} AS objective FROM m0),
-    m AS (SELECT *, {c.variant_of(DUCK, SEED)} AS variant FROM m1)"""
+def dealt_sql(seed: int | str = SEED, base: str = "f") -> str:
+    return f""", m0 AS (SELECT *, {c.batch_of(DUCK, seed, KEY, BATCHES)} AS batch_id FROM {base}), m1 AS (SELECT *, {c.objective_of(DUCK, seed)} AS objective FROM m0),
+    m AS (SELECT *, {c.variant_of(DUCK, seed)} AS variant FROM m1)"""
 
 
-def _pairs_sql() -> str:
-    out, parts = _DEALT, []
+_DEALT = dealt_sql()
+
+
+def _pairs_sql(seed: int | str = SEED, base: str = "f", before: str = "", more: str = "") -> str:
+    out, parts = before + dealt_sql(seed, base), []
+    row = f"SELECT formula_id, {more}batch_id, objective, variant"
     for k, (r, n) in enumerate(c.SPAN_GRID):
         out += f", sp{k} AS (SELECT * FROM m WHERE objective = 'span' AND variant = '{r}/{n}')"
-        more, last = chain(c.span_columns(DUCK, SEED, KEY, r, n), f"sp{k}")
-        out += more
-        parts.append(f"SELECT formula_id, batch_id, objective, variant, span_source AS source, formula AS target FROM {last}")
+        added, last = chain(c.span_columns(DUCK, seed, KEY, r, n), f"sp{k}")
+        out += added
+        parts.append(f"{row}, span_source AS source, formula AS target FROM {last}")
     out += ", us AS (SELECT * FROM m WHERE objective = 'user')"
-    more, last = chain(noise.places(DUCK), "us")
-    out += more + noisy_cte(last, "uz")
-    row = "SELECT formula_id, batch_id, objective, variant"
+    added, last = chain(noise.places(DUCK), "us")
+    out += added + noisy_cte(last, "uz", seed=seed)
     parts += [
         f"{row}, {c.tail_mask(DUCK, 'formula', 'cast(variant as int)')}, formula FROM m WHERE objective = 'tail'",
         f"{row}, coalesce(noisy, formula), formula FROM uz",
-        f"{row}, {c.random_noise(DUCK, SEED, KEY)}, formula FROM m WHERE objective = 'random'",
+        f"{row}, {c.random_noise(DUCK, seed, KEY)}, formula FROM m WHERE objective = 'random'",
         f"{row}, formula, formula FROM m WHERE objective = 'intact'",
     ]
-    return lexed("formulas", out + ", pairs AS (" + " UNION ALL ".join(parts) + ")")
+    return out + ", pairs AS (" + " UNION ALL ".join(parts) + ")"
 
 
 def pairs(s, d):
@@ -124,10 +129,37 @@ def pairs(s, d):
 
 
 put("objective_mix", lambda s, d: c.assign_objectives(carriers.formulas(s, d), BATCHES, SEED).select(KEY, "batch_id", "objective", "variant"), lexed("formulas", _DEALT) + "SELECT formula_id, batch_id, objective, variant FROM m")
-put("pretraining_pairs", pairs, _pairs_sql() + "SELECT * FROM pairs")
+put("pretraining_pairs", pairs, lexed("formulas", _pairs_sql()) + "SELECT * FROM pairs")
 put(
     "corruption_report",
     lambda s, d: c.corruption_report(pairs(s, d)),
-    _pairs_sql() + """SELECT objective, variant, count(*) AS n, count(DISTINCT batch_id) AS batches, round(avg((length(source) - length(replace(source, '<mask>', ''))) / 6), 6) AS masks,
+    lexed("formulas", _pairs_sql()) + """SELECT objective, variant, count(*) AS n, count(DISTINCT batch_id) AS batches, round(avg((length(source) - length(replace(source, '<mask>', ''))) / 6), 6) AS masks,
         round(avg(CAST(source = target AS INT)), 6) AS unchanged, round(avg(length(source) / length(target)), 6) AS length_ratio FROM pairs GROUP BY objective, variant""",
 )
+
+
+def _stream(s, d):
+    return c.pretraining_stream(curation.dedup(carriers.formulas(s, d)), BATCHES, EPOCHS)
+
+
+EPOCHS = 10
+_KEPT = f", sk AS (SELECT *, {lexing.sketch(DUCK, 'tokens', 'kinds')} AS sketch FROM f), ep AS (SELECT *, unnest(range(1, {EPOCHS + 1})) AS epoch FROM (SELECT * FROM sk QUALIFY row_number() OVER (PARTITION BY workbook_id, sketch ORDER BY formula_id) = 1))"
+put(
+    "pretraining_stream",
+    lambda s, d: _stream(s, d).groupBy("epoch", "objective", "variant").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("batch_id").alias("batches"), F.sum(F.length("source")).alias("chars"), F.min("source").alias("least"), F.max("source").alias("most")),
+    lexed("formulas", _pairs_sql("epoch", "ep", _KEPT, "epoch, ")) + "SELECT CAST(epoch AS INT) AS epoch, objective, variant, count(*) AS n, count(DISTINCT batch_id) AS batches, CAST(sum(length(source)) AS BIGINT) AS chars, min(source) AS least, max(source) AS most FROM pairs GROUP BY epoch, objective, variant",
+)
+
+
+def _lex_pieces() -> str:
+    return f"flatten(list_transform(string_split(source, '{c.MASK}'), lambda p: {lexing.lex(DUCK, 'p')}))"
+
+
+put(
+    "corruption_audit",
+    lambda s, d: c.corruption_audit(pairs(s, d).cache()),
+    lexed("formulas", _pairs_sql()) + f"""SELECT objective, variant, count(*) AS n, CAST(sum(CAST(round((length(source) - length(replace(source, '<mask>', ''))) / 6) AS BIGINT)) AS BIGINT) AS runs,
+        round(sum(length(target) - length(replace(source, '<mask>', ''))) / sum(length(target)), 6) AS hidden,
+        CAST(sum(CASE WHEN objective = 'span' THEN CAST(len(list_filter({_lex_pieces()}, lambda x: x <> '' AND NOT list_contains({lexing.lex(DUCK, 'target')}, x))) > 0 AS BIGINT) ELSE 0 END) AS BIGINT) AS broken,
+        CAST(sum(CAST(kinds > 1 AS BIGINT)) AS BIGINT) AS mixed FROM pairs JOIN (SELECT batch_id, count(DISTINCT (objective, variant)) AS kinds FROM pairs GROUP BY batch_id) USING (batch_id) GROUP BY objective, variant""",
+)

@@ -171,7 +171,8 @@ def _objectives(s, d):
     own = curation.dedup(train).cache()
     model, systems = models.count_ngrams(own, order=4), {}
     for name, weights in (("generic spans", corruption.ABLATION_BASE), ("with lexer spans and random noise", corruption.ABLATION_M), ("with user noise", corruption.ABLATION_MN)):
-        pairs = corruption.pretraining_pairs(own, 64, SEED, weights).where("source <> target AND NOT contains(source, '<mask>') AND objective <> 'tail'")
+        # cached: a filter pushed below these columns would write their expressions out again and again
+        pairs = corruption.pretraining_pairs(own, 64, SEED, weights).cache().where("source <> target AND NOT contains(source, '<mask>') AND objective <> 'tail'")
         systems[name] = (model, models.edit_prior(pairs.select(F.col("source").alias("buggy"), F.col("target").alias("intended"))) or None)
     return repair_scores(own, tasks.repair_set(held, SEED), systems=systems)
 

@@ -8,7 +8,7 @@ from cellwright.functions import lexing, noise
 from cellwright.functions.dialect import DUCK, SPARK, Spark, ascii_upper
 from cellwright.operators import corruption, measures, similarity
 from cellwright.plans.corruption_queries import BATCHES, KEY, SEED
-from cellwright.plans.model_queries import sample, vectors
+from cellwright.plans.model_queries import vectors
 from cellwright.plans.twins import lexed
 from cellwright.sources import carriers
 
@@ -83,11 +83,11 @@ put(
     ),
 )
 
-_LOW = f"SELECT formula_id AS id, formula FROM ({carriers.FORMULAS}) ORDER BY {DUCK.u32('1', 'formula_id', chr(39) + 'similarity' + chr(39))}, formula_id LIMIT 120"
+_LOW = f"SELECT formula_id AS id, formula FROM ({carriers.FORMULAS}) ORDER BY {DUCK.u32('1', 'formula_id', chr(39) + 'similarity' + chr(39))}, formula_id LIMIT 1000"
 
 
 def _chars(s, d):
-    low = carriers.formulas(s, d).withColumn("h", F.expr(SPARK.u32("1", "formula_id", "'similarity'"))).orderBy("h", "formula_id").limit(120)
+    low = carriers.formulas(s, d).withColumn("h", F.expr(SPARK.u32("1", "formula_id", "'similarity'"))).orderBy("h", "formula_id").limit(1000)
     rows = low.select(F.col("formula_id").alias("id"), F.col("formula").alias("tokens"))
     return similarity.pairwise(rows, "round(1 - levenshtein(ta, tb) / greatest(length(ta), length(tb)), 9)")
 
@@ -95,33 +95,11 @@ def _chars(s, d):
 put("char_edit_similarity", _chars, f"WITH l AS ({_LOW}) SELECT a.id AS id_a, b.id AS id_b, round(1 - levenshtein(a.formula, b.formula) / greatest(length(a.formula), length(b.formula)), 9) AS sim FROM l a JOIN l b ON a.id < b.id")
 put(
     "embedding_pairs_cosine",
-    lambda s, d: similarity.pairwise(vectors(s, d).where("vec_id % 20 = 0").select(F.col("vec_id").alias("id"), F.col("embedding").alias("tokens")), f"round({similarity.cosine(SPARK, 'ta', 'tb')}, 9)").withColumnRenamed("sim", "cos"),
-    f"WITH v AS (SELECT * FROM embeddings WHERE vec_id % 20 = 0) SELECT a.vec_id AS id_a, b.vec_id AS id_b, round({similarity.cosine(DUCK, 'a.embedding', 'b.embedding')}, 9) AS cos FROM v a JOIN v b ON a.vec_id < b.vec_id",
+    lambda s, d: similarity.pairwise(vectors(s, d).select(F.col("vec_id").alias("id"), F.col("embedding").alias("tokens")), f"round({similarity.cosine(SPARK, 'ta', 'tb')}, 9)").withColumnRenamed("sim", "cos"),
+    f"WITH v AS (SELECT * FROM embeddings) SELECT a.vec_id AS id_a, b.vec_id AS id_b, round({similarity.cosine(DUCK, 'a.embedding', 'b.embedding')}, 9) AS cos FROM v a JOIN v b ON a.vec_id < b.vec_id",
 )
 
 
-def _baseline(view: str, pool: str = "mean"):
-    """Correlation for other embeddings: character trigrams, token kinds, other poolings."""
-
-    def run(s, d):
-        sm = sample(s, d, 120)
-        units = {
-            "tokens": F.col("tokens"),
-            "trigrams": F.expr("transform(sequence(1, greatest(length(array_join(tokens, '')) - 2, 1)), i -> substring(array_join(tokens, ''), i, 3))"),
-            "kinds": F.expr(lexing.kinds(SPARK, "tokens")),
-        }[view]
-        v = sm.withColumn("u", units).select("id", F.expr(similarity.hash_pooled(SPARK, "u", pool=pool)).alias("v"))
-        p = similarity.pairwise(sm).join(v.toDF("id_a", "va"), "id_a").join(v.toDF("id_b", "vb"), "id_b")
-        return measures.pearson(p.select("sim", F.expr(similarity.cosine(SPARK, "va", "vb")).alias("cos")), "cos", "sim")
-
-    return run
-
-
-put("retrieval_pearson_trigrams", _baseline("trigrams"))
-put("retrieval_pearson_kinds", _baseline("kinds"))
-put("retrieval_pearson_sum_pooling", _baseline("tokens", "sum"))
-
-
 def _interval(s, d):
     """Pairs of edits of one workbook within an hour: hour buckets meet themselves and the next one, then the exact test."""
     e = carriers.formula_edits(s, d).select("event_id", "workbook_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"))

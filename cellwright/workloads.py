@@ -10,9 +10,9 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 
 def _parts() -> list:
-    from cellwright.plans import corruption_queries, curation_queries, eval_queries, model_queries, more_queries, task_queries
+    from cellwright.plans import corruption_queries, curation_queries, eval_queries, model_queries, more_queries, surface_queries, task_queries
 
-    return [curation_queries, corruption_queries, task_queries, model_queries, eval_queries, more_queries]
+    return [curation_queries, corruption_queries, task_queries, model_queries, eval_queries, more_queries, surface_queries]
 
 
 def queries() -> dict[str, Query]:
