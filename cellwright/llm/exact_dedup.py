@@ -2,8 +2,9 @@
 
 Texts are keyed by a 64-bit hash of their normalised bytes. A directory of 2^depth entries leads from the key's leading
 bits to a bucket; a bucket above its capacity is split by one more bit, and the directory doubles where the bucket
-already uses all of its bits. Owner tasks take one bucket (a key range) each: entries of one key are chained, bytes are
-compared along the chain, and the pages (key, place in chain, digest, survivor, copies) are written to the shared folder.
+already uses all of its bits. Owner tasks take buckets (key ranges): entries of one key are chained, bytes are compared
+along the chain, and the pages (key, place in chain, digest, survivor, copies) are written to the shared folder. A key
+that one row has needs no comparison: its page is written without its bytes.
 """
 
 from __future__ import annotations
@@ -14,10 +15,14 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_and_text, partitions, written
+from .common import id_and_text, written
 
-#: leading bits of the key by which loads are summed before the directory is built; bounds what the driver gathers
-COUNTED_BITS = 14
+#: bytes of a bucket; what a page takes beside a text; prefixes whose loads the driver gathers at a time
+CAPACITY, PAGE_BYTES, GATHERED = 8_000_000, 64, 1 << 16
+#: tasks beyond which an owner takes several buckets, one after another
+OWNERS = 50_000
+#: bytes of texts that a task holds while it collapses copies
+HELD_BYTES = 16_000_000
 
 
 def normalised(text: Column) -> Column:
@@ -25,24 +30,30 @@ def normalised(text: Column) -> Column:
 
 
 class Directory:
-    """Extendible-hash directory over loads counted for each value of the key's leading `bits` bits."""
+    """Extendible-hash directory. It grows by loads known for prefixes of ever more bits, where buckets are overfull."""
 
-    def __init__(self, loads: np.ndarray, bits: int, capacity: int):
-        self.bits, self.depth, self.entries = bits, 0, [0]
+    def __init__(self, capacity: int):
+        self.capacity, self.depth, self.entries = capacity, 0, np.zeros(1, np.int64)
         self.local, self.prefix = [0], [0]  # depth and leading bits of each bucket
-        sums = np.concatenate([[0], np.cumsum(loads)])
-        todo = [0]
+
+    def grow(self, bits: int, prefixes: np.ndarray, loads: np.ndarray, buckets: list[int]) -> list[int]:
+        """Splits overfull ones among the buckets; prefixes: ascending, of `bits` bits. Returns those that need more bits."""
+        sums, more, todo = np.concatenate([[0], np.cumsum(loads)]), [], list(buckets)
         while todo:
             b = todo.pop()
             width = bits - self.local[b]
-            load = sums[(self.prefix[b] + 1) << width] - sums[self.prefix[b] << width]
-            if load > capacity and width:
-                todo += [b, self.split(b)]
+            low, high = np.searchsorted(prefixes, [self.prefix[b] << width, (self.prefix[b] + 1) << width])
+            if sums[high] - sums[low] > self.capacity:
+                if width:
+                    todo += [b, self.split(b)]
+                else:
+                    more.append(b)
+        return more
 
     def split(self, b: int) -> int:
         """Splits bucket b by one more bit; the new bucket takes the upper half."""
         if self.local[b] == self.depth:  # the directory doubles
-            self.entries = [e for e in self.entries for _ in (0, 1)]
+            self.entries = np.repeat(self.entries, 2)
             self.depth += 1
         self.local[b] += 1
         self.prefix[b] *= 2
@@ -50,33 +61,58 @@ class Directory:
         self.local.append(self.local[b])
         self.prefix.append(self.prefix[b] + 1)
         width = self.depth - self.local[b]
-        for k in range(self.prefix[new] << width, (self.prefix[new] + 1) << width):
-            self.entries[k] = new
+        self.entries[self.prefix[new] << width : (self.prefix[new] + 1) << width] = new
         return new
 
-    def bucket(self, lead: Column) -> Column:
-        """Bucket of a key, from its leading bits."""
-        table = F.array(*map(F.lit, self.entries)) if len(self.entries) <= 4096 else F.from_json(F.lit(str(self.entries)), "array<int>")
-        return F.element_at(table, (F.shiftright(lead, self.bits - self.depth) + 1).cast("int"))
-
-
-def leading_bits(h: Column, bits: int = COUNTED_BITS) -> Column:
-    return F.shiftrightunsigned(h, 64 - bits).cast("int")
+    def buckets(self, keys: np.ndarray) -> np.ndarray:
+        """Bucket of each key (signed 64-bit)."""
+        return self.entries[(keys.view(np.uint64) >> np.uint64(64 - self.depth)).astype(np.int64)] if self.depth else np.zeros(len(keys), np.int64)
+
+
+def build_directory(keys: DataFrame, capacity: int = CAPACITY) -> Directory:
+    """keys: h, load. Loads are summed by leading bits, first few, then more where a bucket is still overfull; the driver
+    gathers at most GATHERED prefixes at a time. No load counts for more than a quarter of a bucket, so that a single
+    text of any length, which no bit can divide, does not drive the depth."""
+    loads = keys.select("h", F.least("load", F.lit(max(1, capacity // 4))).alias("load"))
+    directory, bits, over = Directory(capacity), 0, [0]
+    while over and bits < 60:
+        more = min(60 - bits, max(1, (GATHERED // len(over)).bit_length() - 1))
+        rows = loads
+        if bits:  # as many prefixes as overfull buckets
+            part = keys.sparkSession.createDataFrame([(directory.prefix[b],) for b in over], "lead long")
+            rows = loads.join(F.broadcast(part), F.shiftrightunsigned("h", 64 - bits) == F.col("lead"), "left_semi")
+        bits += more
+        sums = rows.groupBy(F.shiftrightunsigned("h", 64 - bits).alias("p")).agg(F.sum("load").alias("load")).collect()
+        sums.sort()
+        over = directory.grow(bits, np.array([r["p"] for r in sums], np.int64), np.array([r["load"] for r in sums], np.int64), over)
+    return directory
 
 
 def _combine(batches):
-    """Equal texts of a batch become one entry with the smallest doc_id and the number of copies."""
+    """Equal texts of a task become one entry with the smallest doc_id and the number of copies; what is held is bounded."""
     import pyarrow as pa
 
+    seen: dict[str, list] = {}
+    held = 0
+
+    def entries():
+        columns = zip(*((*e, t) for t, e in seen.items()))
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int64(), pa.int64(), pa.int64(), pa.string()))], ["h", "doc_id", "n", "norm"])
+
     for batch in batches:
-        seen: dict[str, list] = {}
-        for h, d, t in zip(batch.column("h").to_pylist(), batch.column("doc_id").to_pylist(), batch.column("norm").to_pylist()):
-            e = seen.setdefault(t, [h, d, 0])
-            e[1] = d if e[1] is None or d is not None and d < e[1] else e[1]
-            e[2] += 1
-        yield pa.RecordBatch.from_arrays(
-            [pa.array([e[0] for e in seen.values()], pa.int64()), pa.array([e[1] for e in seen.values()], pa.int64()), pa.array([e[2] for e in seen.values()], pa.int64()), pa.array(list(seen), pa.string())], ["h", "doc_id", "n", "norm"]
-        )
+        for h, d, t in zip(batch.column("h").to_pylist(), batch.column("doc_id").to_pylist(), batch.column("norm")):
+            t = t.as_py()
+            e = seen.get(t)
+            if e is None:
+                seen[t], held = [h, d, 1], held + len(t) + 200
+                if held > HELD_BYTES:
+                    yield entries()
+                    seen, held = {}, 0
+            else:
+                e[1] = d if e[1] is None or d is not None and d < e[1] else e[1]
+                e[2] += 1
+    if seen:
+        yield entries()
 
 
 def _own(batches):
@@ -115,38 +151,40 @@ def _page_schema():
 PAGE = _page_schema()
 
 
-def build_index(docs: DataFrame, capacity: int | None = None) -> tuple[DataFrame, Directory]:
-    """The index pages (h, place, text_sha256, keep_id, group_size), written to the shared folder, and the directory.
+def build_index(docs: DataFrame, capacity: int = CAPACITY) -> tuple[DataFrame, DataFrame, Directory]:
+    """The rows (doc_id, h, text_sha256, size), the index pages (h, place, text_sha256, keep_id, group_size) of all keys,
+    both written to the shared folder, and the directory.
 
-    Only keys that more than one row has travel with their bytes, one entry for each batch and text, so a group of
-    copies of any size reaches its owner as a few entries. Keys of a single row need no page."""
+    Only keys that more than one row has travel with their bytes, one entry for each task and text, so a group of copies
+    of any size reaches its owner as a few entries. There is an owner task for each bucket, up to OWNERS."""
     keyed = id_and_text(docs).select("doc_id", normalised(F.col("text")).alias("norm")).withColumn("h", F.xxhash64("norm"))
-    keys = keyed.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.max(F.octet_length("norm")).alias("size")).where("c > 1")
-    keys = written(keys, "repeated-keys")
-    at = keys.groupBy(leading_bits(F.col("h")).alias("lead")).agg(F.sum("size").alias("size")).collect()
-    loads = np.zeros(1 << COUNTED_BITS, np.int64)
-    for r in at:
-        loads[r["lead"]] = r["size"]
-    directory = Directory(loads, COUNTED_BITS, capacity or max(1 << 14, int(loads.sum()) // (4 * partitions(docs.sparkSession))))
-    entries = keyed.join(keys.select("h"), "h", "left_semi").select("h", "doc_id", "norm").mapInArrow(_combine, "h long, doc_id long, n long, norm string")
-    owned = entries.withColumn("bucket", directory.bucket(leading_bits(F.col("h"))))
-    owned = owned.repartition(partitions(docs.sparkSession), "bucket").sortWithinPartitions("bucket", "h").drop("bucket")
-    return written(owned.mapInArrow(_own, "h long, place int, text_sha256 string, keep_id long, group_size long"), "hash-index"), directory
-
-
-def exact_groups(docs: DataFrame) -> DataFrame:
+    rows = written(keyed.select("doc_id", "h", F.sha2("norm", 256).alias("text_sha256"), F.octet_length("norm").alias("size")), "text-keys")
+    keys = written(rows.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.max("size").alias("size"), F.min("doc_id").alias("doc_id")), "keys")
+    repeated = written(keys.where("c > 1"), "repeated-keys")  # a table of its own, so that Spark sees its size
+    directory = build_directory(repeated.select("h", (F.col("size") + PAGE_BYTES).alias("load")), capacity)
+    shared = docs.sparkSession.sparkContext.broadcast(directory)  # a few bytes for each bucket of many megabytes
+
+    def owned(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            found = shared.value.buckets(np.ascontiguousarray(np.asarray(batch.column("h"), np.int64)))
+            yield pa.RecordBatch.from_arrays([pa.array(found), *batch.columns], ["bucket", *batch.schema.names])
+
+    entries = keyed.join(repeated.select("h"), "h", "left_semi").select("h", "doc_id", "norm").mapInArrow(lambda x: owned(_combine(x)), "bucket long, h long, doc_id long, n long, norm string")
+    chains = entries.repartition(min(len(directory.local), OWNERS), "bucket").sortWithinPartitions("bucket", "h").drop("bucket")
+    compared = chains.mapInArrow(_own, "h long, place int, text_sha256 string, keep_id long, group_size long")
+    single = keys.where("c = 1").select("h", F.lit(0).alias("place"), F.lit(None).cast("string").alias("text_sha256"), F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"))
+    return rows, written(compared.unionByName(single), "hash-index"), directory
+
+
+def exact_groups(docs: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     """doc_id, keep_id, group_size, kept, text_sha256 of every row.
 
-    Null and empty texts are equal; rows that repeat the doc_id that stays are all marked kept; a null doc_id is kept only
-    where its group has no other id; an empty table gives no row. A key with two different texts has a chain of two pages, told apart
-    by the digest of their bytes."""
-    index, _ = build_index(docs)
-    rows = id_and_text(docs).select("doc_id", normalised(F.col("text")).alias("norm")).select("doc_id", F.xxhash64("norm").alias("h"), F.sha2("norm", 256).alias("text_sha256"))
-    out = rows.join(index.drop("place"), ["h", "text_sha256"], "left")
-    return out.select(
-        "doc_id",
-        F.when(F.col("group_size").isNull(), F.col("doc_id")).otherwise(F.col("keep_id")).alias("keep_id"),
-        F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"),
-        F.when(F.col("group_size").isNull(), F.lit(True)).otherwise(F.col("doc_id").eqNullSafe(F.col("keep_id"))).alias("kept"),
-        "text_sha256",
-    )
+    Null and empty texts are equal; texts of any length are hashed and compared whole; rows that repeat the doc_id that
+    stays are all marked kept; a null doc_id is kept only where its group has no other id; an empty table gives no row. A
+    key with two different texts has a chain of two pages, told apart by the digest of their bytes."""
+    rows, index, _ = build_index(docs, capacity)
+    rows, index = rows.select("doc_id", "h", "text_sha256").alias("r"), index.alias("i")
+    same = (F.col("r.h") == F.col("i.h")) & (F.col("i.text_sha256").isNull() | (F.col("i.text_sha256") == F.col("r.text_sha256")))
+    return rows.join(index, same).select("r.doc_id", "keep_id", "group_size", F.col("r.doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "r.text_sha256")
