@@ -289,23 +289,22 @@ def gradients(m: ToxicityModel, windows: list[list[str]], weight: np.ndarray, ta
     return loss, g
 
 
-def train(texts: list[str], toxic: np.ndarray, share: float | None = None, epochs: int | None = None, batch: int | None = None, rate: float = 0.02, per_doc: int = 20, seed: int = 5) -> ToxicityModel:
+def train(texts: list[str], toxic: np.ndarray, share: float | None = None, steps: int = 320, batch: int = 256, rate: float = 0.02, per_doc: int = 20, seed: int = 5) -> ToxicityModel:
     """Fits windows with their document's label, then scale and shift of the highest window on the documents.
 
-    Toxic documents also hold harmless windows. From the third epoch on, their windows far below the document's highest
+    Toxic documents also hold harmless windows. From the third pass on, their windows far below the document's highest
     weigh nothing, and of clean documents the highest windows are always among those read, as they decide its score.
-    share: of toxic documents where the model is to be used, if the sample has another."""
+    share: of toxic documents where the model is to be used, if the sample has another. steps, batch, rate: how many, windows
+    in each, and their size; the sample is passed over as often as that takes. per_doc: windows of a document that are read in one pass, drawn anew in each, so that long
+    documents do not fill the sample; scoring always reads all windows."""
     m, rng = new_model(texts), np.random.default_rng(seed)
     split = [tokens(t) or ["_"] for t in texts]
     count = np.fromiter((max(1, -(-(len(s) - WINDOW) // STRIDE) + 1) for s in split), np.int64, len(split))
     doc = np.repeat(np.arange(len(split)), count)
     start = (np.arange(len(doc)) - np.repeat(np.cumsum(count) - count, count)) * STRIDE
     label, z = toxic[doc].astype(np.float32), None
-    size = int(np.minimum(count, per_doc).sum())
-    # small samples are read more often, in smaller batches
-    epochs, batch = epochs or (5 if size > 8000 else 8), batch or min(256, max(16, size // 40))
-    mean, square, step, steps = {}, {}, 0, max(1, epochs * -(-size // batch))
-    for epoch in range(epochs):
+    mean, square, step, epoch = {}, {}, 0, 0
+    while step < steps and len(doc):
         # windows of long documents are drawn by chance, so that a few documents cannot fill the sample
         draw = rng.random(len(doc))
         if z is not None:
@@ -317,6 +316,8 @@ def train(texts: list[str], toxic: np.ndarray, share: float | None = None, epoch
         pos = max(1.0, float(label[read].sum()))
         weight = np.where(label == 1, max(1.0, (len(read) - pos) / pos * 0.5), 1.0)
         for a in range(0, len(read), batch):
+            if step == steps:
+                break
             i = read[a : a + batch]
             _, g = gradients(m, [split[doc[k]][start[k] : start[k] + WINDOW] for k in i], weight[i] / weight[i].sum(), label[i])
             step += 1
@@ -327,7 +328,8 @@ def train(texts: list[str], toxic: np.ndarray, share: float | None = None, epoch
                 mean[k] = 0.9 * mean.get(k, 0) + 0.1 * x
                 square[k] = 0.999 * square.get(k, 0) + 0.001 * x * x
                 m.weights[k] = (m.weights[k] - lr * (mean[k] / (1 - 0.9**step)) / (np.sqrt(square[k] / (1 - 0.999**step)) + 1e-8)).astype(np.float32)
-        if epoch >= 1:
+        epoch += 1
+        if epoch % 2 == 0 or step == steps:
             m.memo = {}
             z = np.concatenate([m.windows(split[a : a + 500])[0] for a in range(0, len(split), 500)]) if split else np.zeros(0)
     z = np.maximum.reduceat(z, np.cumsum(count) - count).astype(np.float64) if split else np.zeros(0)
