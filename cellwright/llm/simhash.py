@@ -74,7 +74,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
         import pyarrow as pa
 
         for batch in batches:
-            for part in text_chunks(batch):
+            for part in text_chunks(batch, 1_500_000):
                 fp = fingerprints_of(part.column("text").to_pylist())
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
 

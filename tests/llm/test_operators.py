@@ -64,18 +64,22 @@ def test_exact_dedup(docs, none, rows):
         keep = min(ids) if ids else None
         want.append((i, keep, len(own), i == keep, hashlib.sha256(n.encode()).hexdigest()))
     same([tuple(r) for r in exact_groups(docs).collect()], want)
+    same([tuple(r) for r in exact_groups(docs, capacity=300).collect()], want)
     assert exact_groups(none).count() == 0
 
 
-def test_directory_splits():
-    from cellwright.llm.exact_dedup import Directory
+def test_directory_splits(spark):
+    from cellwright.llm.exact_dedup import build_directory
 
-    loads = np.zeros(64, np.int64)
-    loads[5], loads[6], loads[40] = 10, 10, 3
-    d = Directory(loads, 6, 12)
-    assert len(d.entries) == 1 << d.depth and d.depth > 0
-    held = np.bincount([d.entries[k >> (6 - d.depth)] for k in range(64)], weights=loads)
-    assert held.max() <= 12
+    rng = np.random.default_rng(3)
+    h = np.concatenate([rng.integers(-(1 << 63), (1 << 63) - 1, 400), 77 << 40 | rng.integers(0, 1 << 40, 40)])  # forty share 24 bits
+    frame = spark.createDataFrame([(int(x), 10) for x in h] + [(1234567, 10_000)], "h long, load long")
+    d = build_directory(frame, 100)
+    assert len(d.entries) == 1 << d.depth and d.depth > 24 and set(d.entries) == set(range(len(d.local)))
+    assert np.bincount(d.buckets(h)).max() <= 10
+    lead = h.view(np.uint64)
+    assert all(int(lead[i]) >> (64 - d.local[b]) == d.prefix[b] for i, b in enumerate(d.buckets(h).tolist()))
+    assert build_directory(frame.where("load < 0"), 100).depth == 0
 
 
 def test_chain_keeps_colliding_texts_apart():
