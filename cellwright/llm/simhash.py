@@ -68,7 +68,7 @@ def fingerprints_of(texts: list[str], words: int = WORDS, seed: int = SEED) -> n
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
-    """doc_id, fp (the 64 bits as a signed long) of every row."""
+    """doc_id, text_hash (of the text as it is), fp (the 64 bits as a signed long) of every row."""
 
     def run(batches):
         import pyarrow as pa
@@ -76,9 +76,10 @@ def fingerprints(docs: DataFrame) -> DataFrame:
         for batch in batches:
             for part in text_chunks(batch, 1_500_000):
                 fp = fingerprints_of(part.column("text").to_pylist())
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(fp.view(np.int64))], ["doc_id", "fp"])
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text_hash"), pa.array(fp.view(np.int64))], ["doc_id", "text_hash", "fp"])
 
-    return id_and_text(docs).mapInArrow(run, "doc_id long, fp long")
+    rows = id_and_text(docs).withColumn("text_hash", F.xxhash64("text"))
+    return rows.mapInArrow(run, "doc_id long, text_hash long, fp long")
 
 
 def near(a: np.ndarray, b, bits: int = BITS) -> np.ndarray:
@@ -191,7 +192,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def near_groups(docs: DataFrame) -> DataFrame:
-    """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable) of every row.
+    """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable), text_hash of every row.
 
     Null and texts without words have fingerprint zero and link like any other; a text of any length is hashed whole; a
     null doc_id stays null and names a component only where nothing else does; repeated rows get the same component; an
@@ -208,4 +209,4 @@ def near_groups(docs: DataFrame) -> DataFrame:
     hot = F.broadcast(final.where(F.col("rows") * HOT_SHARES > bound).drop("rows"))
     rest = final.where(F.col("rows") * HOT_SHARES <= bound).drop("rows")
     out = prints.join(hot, "fp").unionByName(prints.join(hot.select("fp"), "fp", "left_anti").join(rest, "fp"))
-    return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", "text_hash")
