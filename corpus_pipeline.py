@@ -9,7 +9,10 @@ from cellwright.llm.common import new_path, read_table
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the documents whose toxicity score is below 0.5. The model learns from the labelled rows of the documents table."""
+    """Keeps the documents whose toxicity score is below 0.5. The model learns from the labelled rows of the documents table.
+
+    Null and empty texts are scored as one unknown word; rows are judged singly, so repeated ids, null ids and ties need no
+    rule; without usable labels all stay; an empty table gives an empty one."""
     from cellwright.llm.toxicity import fit, score
 
     model = fit(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
@@ -18,7 +21,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the row with the smallest doc_id of each group of equal texts. A row is known by its doc_id and its text's digest,
-    so rows without an id, or of one id with different texts, are judged each."""
+    so rows without an id, or of one id with different texts, are judged each. Null and empty texts are one group; of rows
+    that share the id that stays, and in groups without any id, all stay; an empty table gives an empty one."""
     from cellwright.llm.exact_dedup import exact_groups, normalised
 
     gone = exact_groups(docs).where("NOT kept").select(F.col("doc_id").alias("__cw_id"), F.col("text_sha256").alias("__cw_gone")).distinct()
@@ -28,15 +32,22 @@ def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the smallest doc_id of each near-duplicate group; rows without an id are left alone."""
+    """Keeps the document with the smallest doc_id of each near-duplicate group. A row is known by its doc_id and a hash of its
+    text, so rows of one id with different texts are judged each; rows without an id go if their group has one with, else
+    stay. Texts without words are one group; an empty table gives an empty one."""
     from cellwright.llm.simhash import near_groups
 
-    gone = near_groups(docs).where("doc_id <> component_id").select(F.col("doc_id").alias("__cw_id"))
-    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["__cw_id"]), "left_anti").select(*docs.columns)
+    gone = near_groups(docs).where("NOT doc_id <=> component_id").select(F.col("doc_id").alias("__cw_id"), F.col("text_hash").alias("__cw_gone")).distinct()
+    own = docs.withColumn("__cw_hash", F.xxhash64(F.coalesce(docs["text"], F.lit(""))))
+    same = own["doc_id"].eqNullSafe(gone["__cw_id"]) & (own["__cw_hash"] == gone["__cw_gone"])
+    return own.join(gone, same, "left_anti").select(*docs.columns)
 
 
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Removes every byte of a 100-byte string that also starts earlier; n_chars follows. A character that is cut in two goes."""
+    """Removes every byte of a 100-byte string that also starts earlier; n_chars follows. A character that is cut in two goes.
+
+    No row goes, also where nothing is left of its text; null and short texts stay as they are; rows without an id come last,
+    those of one id in the order of their blocks; an empty table gives an empty one."""
     from cellwright.llm.suffix_dedup import remove_repeats
 
     own = {"text": F.col("__cw_text"), "n_chars": F.length("__cw_text").cast("long")}
@@ -45,7 +56,7 @@ def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Packs all documents into sequences of at most 1024 tokens."""
+    """Packs all documents into sequences of at most 1024 tokens; see packing.pack for nulls, ties and empty tables."""
     import public_tokenizers
 
     from cellwright.llm.packing import pack
