@@ -120,3 +120,44 @@ def _links(s, d):
 
 
 put("edit_sim_links", _links)
+
+
+def _workbooks(s, d):
+    """A vector for each workbook: the mean of its formulas' vectors."""
+    f = carriers.formulas(s, d)
+    v = lexing.with_tokens(f).select("workbook_id", F.posexplode(F.expr(similarity.hash_pooled(SPARK, "tokens"))).alias("dim", "x"))
+    return v.groupBy("workbook_id", (F.col("dim") + 1).alias("dim")).agg(F.round(F.avg("x"), 6).alias("x"))
+
+
+put("workbook_embeddings", _workbooks, lexed("formulas", f", v AS (SELECT workbook_id, {similarity.hash_pooled(DUCK, 'tokens')} AS v FROM f), e AS (SELECT workbook_id, unnest(range(1, {similarity.DIM + 1}))::INT AS dim, unnest(v) AS x FROM v)") + "SELECT workbook_id, dim, round(avg(x), 6) AS x FROM e GROUP BY workbook_id, dim")
+
+
+def _streams(d) -> dict[str, str]:
+    """Separate token streams for constants and for the rest of a formula, so that each can have a vocabulary of its own."""
+    idx, own = d.seq("1", d.size("tokens")), lexing.pretokens(d, d.at("tokens", "i"))
+    constant = d.has(["string", "number"], d.at("kinds", "i"))
+    return {
+        "constants": f"array_to_string({d.flat(d.each(d.keep(idx, 'i', constant), 'i', own))}, '|')",
+        "rest": f"array_to_string({d.flat(d.each(d.keep(idx, 'i', f'not {constant}'), 'i', own))}, '|')",
+    }
+
+
+put(
+    "split_streams",
+    lambda s, d: lexing.with_tokens(carriers.formulas(s, d)).select("formula_id", *(F.expr(x.replace("array_to_string", "array_join")).alias(k) for k, x in _streams(SPARK).items())),
+    lexed() + "SELECT formula_id, " + ", ".join(f"{x} AS {k}" for k, x in _streams(DUCK).items()) + " FROM f",
+)
+
+
+def _texts(s, d):
+    """The carrier written as lines, CSV and JSON and read back with the given schema."""
+    f, out = carriers.formulas(s, d), None
+    for kind in ("csv", "json", "text"):
+        path = edits.shared_path(s, kind)
+        (f.select("formula") if kind == "text" else f).write.format(kind).options(**({"escape": '"'} if kind == "csv" else {})).save(path)
+        own = tables.read_formulas(s, path, kind).agg(F.count(F.lit(1)).alias("n"), F.countDistinct("formula").alias("different"), F.sum(F.length("formula")).alias("chars")).withColumn("kind", F.lit(kind))
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
+put("formula_sources", _texts, f"SELECT unnest(['csv', 'json', 'text']) AS kind, n, different, chars FROM (SELECT count(*) AS n, count(DISTINCT formula) AS different, CAST(sum(length(formula)) AS BIGINT) AS chars FROM ({carriers.FORMULAS}))")

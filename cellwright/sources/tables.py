@@ -18,6 +18,17 @@ def external_benchmark(spark: SparkSession, path: str, kind: str = "json") -> Da
     return spark.read.schema(BENCHMARK).format(kind).load(path)
 
 
+FORMULA = T.StructType([T.StructField("formula_id", T.LongType()), T.StructField("workbook_id", T.LongType()), T.StructField("sheet_no", T.IntegerType()), T.StructField("formula", T.StringType())])
+
+
+def read_formulas(spark: SparkSession, path: str, kind: str = "parquet") -> DataFrame:
+    """Formulas from Parquet, JSON lines, CSV, or text of one formula a line, which then have no ids. The schema is given."""
+    if kind == "text":
+        return spark.read.text(path).withColumnRenamed("value", "formula")
+    reader = spark.read.schema(FORMULA).format(kind)
+    return (reader.option("escape", '"').option("quote", '"') if kind == "csv" else reader).load(path)
+
+
 def write_bucketed(df: DataFrame, table: str, buckets: int, key: str = "workbook_id") -> None:
     """A corpus bucketed by workbook: deduplication per workbook then needs no shuffle."""
     df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
