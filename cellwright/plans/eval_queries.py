@@ -256,8 +256,8 @@ def _stream_counts(s, d):
 put("stream_token_counts", _stream_counts, lexed("formula_edits") + "SELECT strftime(ts, '%Y-%m-%d') AS day, sheet, count(*) AS edits, CAST(sum(len(tokens)) AS BIGINT) AS tokens FROM f GROUP BY ALL")
 put(
     "stream_late_edits",
-    lambda s, d: edits.late_edits(carriers.formula_edits(s, d), "7 days"),
-    f"""SELECT event_id, workbook_id, late_hours FROM (SELECT event_id, workbook_id, CAST(floor((epoch_us(max(ts) OVER (PARTITION BY workbook_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)) - epoch_us(ts)) / 3600000000) AS BIGINT) AS late_hours
+    lambda s, d: edits.late_edits(carriers.formula_edits(s, d).withColumn("arrival", F.expr(SPARK.u32("1", "event_id", "'arrival'"))), "7 days", "arrival"),
+    f"""SELECT event_id, workbook_id, late_hours FROM (SELECT event_id, workbook_id, CAST(floor((epoch_us(max(ts) OVER (PARTITION BY workbook_id ORDER BY {DUCK.u32('1', 'event_id', chr(39) + 'arrival' + chr(39))}, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)) - epoch_us(ts)) / 3600000000) AS BIGINT) AS late_hours
         FROM ({carriers.edits_sql(True)})) WHERE late_hours >= 168""",
 )
 put(

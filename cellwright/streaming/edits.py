@@ -52,10 +52,10 @@ def run_to_table(stream: DataFrame, mode: str = "append", keys: list[str] | None
     return last.select(*keys, *(F.col("last")[c].alias(c) for c in rest))
 
 
-def late_edits(edits: DataFrame, delay: str) -> DataFrame:
-    """What a watermark of a workbook would drop, as a side output: edits that come, in the order of their ids, when a later
-    one by at least the delay has been seen. event_id, workbook_id, late_hours."""
-    before = Window.partitionBy("workbook_id").orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1)
+def late_edits(edits: DataFrame, delay: str, arrival: str = "event_id") -> DataFrame:
+    """What a watermark of a workbook would drop, as a side output: edits that come, in the order of the column arrival, when
+    a later one by at least the delay has been seen. event_id, workbook_id, late_hours."""
+    before = Window.partitionBy("workbook_id").orderBy(arrival, "event_id").rowsBetween(Window.unboundedPreceding, -1)
     us = F.unix_micros(F.col("ts").cast("timestamp"))
     late = edits.withColumn("late_hours", F.floor((F.max(us).over(before) - us) / 3_600_000_000).cast("long"))
     return late.where(F.col("late_hours") >= F.expr(f"cast(extract(DAY FROM interval '{delay}') as long) * 24")).select("event_id", "workbook_id", "late_hours")
