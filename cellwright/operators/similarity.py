@@ -146,10 +146,17 @@ def retrieve(vectors: DataFrame, every: int = 20, k: int = 10, rows_at_once: int
     return s.withColumn("rank", F.row_number().over(Window.partitionBy("query").orderBy(F.desc("cos"), "id"))).where(F.col("rank") <= k)
 
 
-def sign_bands(v: str, bands: int = 12, width: int = 6, dim: int = 64, seed: int = 1000) -> str:
+BANDS, WIDTH = 12, 6
+
+
+def planes(bands: int = BANDS, width: int = WIDTH, dim: int = 64, seed: int = 1000) -> list[list[float]]:
+    """Drawn projections, bands of width each."""
+    return np.random.default_rng(seed).normal(size=(bands * width, dim)).round(4).tolist()
+
+
+def sign_bands(v: str, bands: int = BANDS, width: int = WIDTH, dim: int = 64, seed: int = 1000) -> str:
     """Band keys of the signs of drawn projections, as SQL over an array column."""
-    planes = np.random.default_rng(seed).normal(size=(bands * width, dim)).round(4).tolist()
-    dot = f"aggregate(zip_with({v}, get(from_json('{planes}', 'array<array<double>>'), b * {width} + w), (x, y) -> x * y), cast(0 as double), (t, z) -> t + z)"
+    dot = f"aggregate(zip_with({v}, get(from_json('{planes(bands, width, dim, seed)}', 'array<array<double>>'), b * {width} + w), (x, y) -> x * y), cast(0 as double), (t, z) -> t + z)"
     return f"transform(sequence(0, {bands - 1}), b -> concat(b, ':', array_join(transform(sequence(0, {width - 1}), w -> if({dot} > 0, '1', '0')), '')))"
 
 

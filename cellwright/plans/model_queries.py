@@ -194,7 +194,17 @@ def _lsh(s, d):
     return exact.join(found, ["query", "id"], "left").agg(F.count(F.lit(1)).alias("wanted"), F.count("hit").alias("found"))
 
 
-put("embedding_lsh_recall", _lsh)
+_BANDS = f"""list_transform(range(0, {similarity.BANDS}), lambda b: b || ':' || array_to_string(list_transform(range(0, {similarity.WIDTH}), lambda w:
+    CASE WHEN list_sum(list_transform(range(1, 65), lambda q: CAST(embedding[q] AS DOUBLE) * planes[b * {similarity.WIDTH} + w + 1][q])) > 0 THEN '1' ELSE '0' END), ''))"""
+put(
+    "embedding_lsh_recall",
+    _lsh,
+    f"""WITH ex AS ({_COS}), k AS (SELECT vec_id, embedding, unnest({_BANDS}) AS band FROM embeddings, (SELECT CAST('{similarity.planes()}' AS DOUBLE[][]) AS planes)),
+        c AS (SELECT DISTINCT q.vec_id AS query, e.vec_id AS id FROM k q JOIN k e ON q.band = e.band AND q.vec_id % 20 = 0 AND q.vec_id <> e.vec_id),
+        s AS (SELECT query, id, round({similarity.cosine(DUCK, 'e.embedding', 'q.embedding')}, 9) AS cos FROM c JOIN embeddings q ON q.vec_id = query JOIN embeddings e ON e.vec_id = id),
+        f AS (SELECT query, id FROM (SELECT *, row_number() OVER (PARTITION BY query ORDER BY cos DESC, id) AS r FROM s) WHERE r <= 10)
+        SELECT count(*) AS wanted, count(f.id) AS found FROM ex LEFT JOIN f ON f.query = ex.query AND f.id = ex.id""",
+)
 
 
 def _label(s, d):
