@@ -34,10 +34,6 @@ def start_threshold(rate: int, mean: float) -> int:
     return int((1 - (1 - rate / 100) ** (1 / mean)) * TWO32)
 
 
-def _starts(d: Spark, seed: int, key: str, s: str, bound: int) -> str:
-    return f"{d.u32(str(seed), key, s, "'span'")} < {bound}"
-
-
 def span_ends(d: Spark, seed: int, key: str, total: str, rate: int, mean: int, law: str = "fixed") -> str:
     """Last place of the span that starts at each place from 2 - reach to total, or the place before it where none starts.
     One draw a place. law: fixed length, geometric with that mean, or uniform from 1 to 2 mean - 1."""

@@ -243,8 +243,3 @@ def case_fragmentation(df: DataFrame, text: str = "formula") -> DataFrame:
     """word (lower case), spellings: tokens that a case-sensitive vocabulary would keep apart."""
     w = df.select(F.explode(F.expr(lexing.pretokens(SPARK, text, False))).alias("t")).where(F.col("t").rlike("^[A-Za-z]"))
     return w.groupBy(F.lower("t").alias("word")).agg(F.countDistinct("t").alias("spellings"), F.count(F.lit(1)).alias("n"))
-
-
-def boundary_crossings(pieces: list[str]) -> int:
-    """Pieces that join a letter or digit with a mark, as merges without word boundaries make."""
-    return sum(any(c.isalnum() for c in p) and any(not c.isalnum() for c in p) for p in pieces)
