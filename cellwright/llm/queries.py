@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import id_and_text, read_table
+from .common import read_table
 
 
 def _byte_bpe() -> tuple[str, str]:
