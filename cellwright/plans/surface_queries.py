@@ -113,10 +113,7 @@ put(
 
 def _links(s, d):
     """Of every masked formula of the corpus: how many others are similar to it by 0.8 or more."""
-    rows = similarity.masked(carriers.formulas(s, d)).cache()
-    pairs = similarity.edit_sim_join(rows, 0.8)
-    ends = pairs.select(F.col("id_a").alias("id")).unionByName(pairs.select(F.col("id_b").alias("id")))
-    return rows.select("id").join(ends.groupBy("id").agg(F.count(F.lit(1)).alias("links")), "id", "left").select("id", F.coalesce("links", F.lit(0)).cast("long").alias("links"))
+    return similarity.edit_sim_links(similarity.masked(carriers.formulas(s, d)).cache(), 0.8)
 
 
 put("edit_sim_links", _links)
