@@ -8,7 +8,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from cellwright.functions import lexing, noise
+from cellwright.functions import lexing, noise, shapes
 from cellwright.functions.dialect import SPARK
 from cellwright.operators import corruption, curation, measures, models, published, similarity, tasks, tokenizer
 from cellwright.sources import carriers
@@ -567,3 +567,30 @@ def test_only_objectives_that_show_mistakes_are_worked_out(spark):
     rows = sorted(map(tuple, some.where(kept).collect()))
     assert rows and rows == sorted(map(tuple, every.where(kept).collect()))
     assert not some.where("objective IN ('span', 'tail', 'intact')").count()
+
+
+def test_work_by_shape_equals_work_by_formula(spark):
+    """Also where texts differ in digits only, and arguments look equal without being so."""
+    rnd = random.Random(3)
+    parts = ["SUM(", "AND(", "LOG10(", "A1", "A2", "1", "12", "21", ",", ",", ")", ")", '"a1"', '"a2"', "'S 1'!", ":", "<=", "+", " ", "Q1x(", "x1", "#REF!", '"', "\u0663"]
+    odd = ["".join(rnd.choice(parts) for _ in range(rnd.randint(1, 10))) for _ in range(600)]
+    f = frame(spark, *EDGE, "=IF(A1,A1)", "=IF(A1,A2)", "=IF(a 1,A1)", "=MAX(1,2,3)", *odd, *[r["formula"] for r in carriers.formulas(spark, SF).limit(100).collect()]).cache()
+    known = shapes.known(f)
+    for ops in (None, ["N04", "N07", "N16"]):
+        want = noise.user_noise(lexing.with_tokens(f), 1, ops=ops).select("formula_id", "op_id", "noisy")
+        assert {tuple(r) for r in shapes.with_noise(f, 1, ops=ops, shapes=known).select("formula_id", "op_id", "noisy").collect()} == {tuple(r) for r in want.collect()}
+    assert {tuple(r) for r in shapes.with_sketch(f, shapes=known).select("formula_id", "sketch").collect()} == {tuple(r) for r in lexing.with_sketch(f).select("formula_id", "sketch").collect()}
+    assert {tuple(r) for r in curation.dedup(f, known=known).collect()} == {tuple(r) for r in curation.dedup(f).collect()}
+
+
+def test_asked_counts_score_as_all_counts(spark):
+    """Repair of a corpus that has more n-grams than a table has room for: only those asked for are held, with the same scores."""
+    f = curation.dedup(carriers.formulas(spark, SF)).unionByName(frame(spark, "=\u0003+1", "=\u0002A1", "=Ä1+ä1").withColumn("sheet_no", F.lit(0)).withColumn("family_size", F.lit(1).cast("long")), allowMissingColumns=True)
+    pairs = tasks.repair_set(f).limit(12).cache()
+    for order, units in ((3, "lexer"), (4, "generic")):
+        few, whole = models.count_asked(f, pairs, order=order, units=units), models.count_ngrams(f, order=order, units=units)
+        assert sum(map(len, few.table.values())) < sum(map(len, whole.table.values())) / 2
+        for r in pairs.collect():
+            assert all(few.logprob(few.split(c)) == whole.logprob(whole.split(c)) for c in models.candidates(r["buggy"]))
+    signed = Counter(models.signature(r["buggy"], r["intended"]) for r in pairs.collect())
+    assert models.edit_prior(pairs).keys() == {k for k, n in signed.items() if n > 1}
