@@ -594,3 +594,20 @@ def test_asked_counts_score_as_all_counts(spark):
             assert all(few.logprob(few.split(c)) == whole.logprob(whole.split(c)) for c in models.candidates(r["buggy"]))
     signed = Counter(models.signature(r["buggy"], r["intended"]) for r in pairs.collect())
     assert models.edit_prior(pairs).keys() == {k for k, n in signed.items() if n > 1}
+
+
+def test_shelved_counts_are_the_counted_ones(spark):
+    """Read by pickled copies, as workers do, with little room; and the completions are the same."""
+    import pickle
+
+    f = curation.dedup(carriers.formulas(spark, SF)).select("formula_id", "formula").unionByName(frame(spark, "=Ä1\u0001+1", "x", None).select("formula_id", "formula"))
+    pre = tasks.completion_prefixes(f.limit(6), fractions=(50,))
+    for order, units in ((3, "lexer"), (2, "generic")):
+        whole, m = models.count_ngrams(f, order=order, units=units), models.shelve_ngrams(f, order=order, units=units, files=16)
+        assert m.longest == whole.longest
+        m.table.room = 50
+        shelf = pickle.loads(pickle.dumps(m)).table
+        assert all(shelf[k] == v and k in shelf for k, v in whole.table.items()) and shelf.held < 1000
+        assert shelf.get(("no", "such"), {}) == {} and ("no",) not in shelf
+        want, got = ({tuple(r) for r in models.complete(pre, x, "x", 3, 8).collect()} for x in (whole, m))
+        assert got == want and got
