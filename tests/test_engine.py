@@ -611,3 +611,14 @@ def test_shelved_counts_are_the_counted_ones(spark):
         assert shelf.get(("no", "such"), {}) == {} and ("no",) not in shelf
         want, got = ({tuple(r) for r in models.complete(pre, x, "x", 3, 8).collect()} for x in (whole, m))
         assert got == want and got
+
+
+def test_stream_in_one_pass_equals_a_query_for_each_objective(spark):
+    """Also for empty and odd texts; and the plan reads each formula once, whatever the number of objectives."""
+    f = frame(spark, *[x for x in EDGE if x is not None], *[r["formula"] for r in carriers.formulas(spark, SF).limit(60).collect()]).select("formula_id", "formula").cache()
+    rows = f.withColumn("epoch", F.explode(F.sequence(F.lit(1), F.lit(4))))
+    cols = ["formula_id", "epoch", "batch_id", "objective", "variant", "source", "target"]
+    want = {tuple(r) for r in corruption.pretraining_pairs(rows, 16, "epoch", more=("epoch",)).select(*cols).collect()}
+    got = corruption.pretraining_stream(f, 16, 4)
+    assert {tuple(r) for r in got.select(*cols).collect()} == want and {r[3] for r in want} == set(corruption.WEIGHTS)
+    assert "Union" not in got._jdf.queryExecution().executedPlan().toString()
