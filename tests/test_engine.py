@@ -683,3 +683,41 @@ def test_stream_in_one_pass_equals_a_query_for_each_objective(spark):
     got = corruption.pretraining_stream(f, 16, 4)
     assert {tuple(r) for r in got.select(*cols).collect()} == want and {r[3] for r in want} == set(corruption.WEIGHTS)
     assert "Union" not in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_large_contexts_of_a_shelf_rank_as_counted(spark, monkeypatch):
+    """Contexts kept in parts, with few likeliest tokens at hand: ranks, draws and smaller orders are those of the counts."""
+    monkeypatch.setattr(models, "LARGE", 5)
+    monkeypatch.setattr(models, "HEAD", 8)
+    f = curation.dedup(carriers.formulas(spark, SF)).select("formula_id", "formula").limit(3000).cache()
+    whole, m = models.count_ngrams(f, order=4), models.shelve_ngrams(f, order=4, files=8)
+    assert sum(isinstance(m.table[k], models.Wide) for k in whole.table) > 20
+    for own, got in ((whole, m), (models.NGram(2, whole.table), m.of_order(2))):
+        for past in ([models.START], ["=", "SUM"], ["IF", "("], ["(", "A1"], ["no", "such"], [","]):
+            for k in (1, 7, 40):
+                assert got.next_tokens(past, k) == own.next_tokens(past, k), (past, k)
+            a, b = own.tempered(past, 0.95, 0.7), got.tempered(past, 0.95, 0.7)
+            assert [x[0] for x in a] == [x[0] for x in b] and all(abs(x[1] - y[1]) < 1e-9 for x, y in zip(a, b))
+    task = frame(spark, "=SUM(A1,B2)", "=NEW(1)")
+    tuned, both = models.tuned(whole, models.count_ngrams(task, order=4), 3), models.shelve_ngrams(f, order=4, files=8, extra=task, weight=3)
+    assert all(dict(both.table[k]) == v for k, v in tuned.table.items()) and both.longest == tuned.longest
+
+
+@pytest.fixture
+def no_table(monkeypatch):
+    """No room for a table of n-grams on the driver."""
+
+    def full(*a, **k):
+        raise ValueError("no room")
+
+    monkeypatch.setattr(models, "count_ngrams", full)
+
+
+def run_small(spark, name):
+    from cellwright.plans import eval_queries
+
+    return eval_queries.QUERIES[name](spark, SF).collect()
+
+
+def test_completion_eval_ngram_holds_no_table(spark, no_table):
+    assert len(run_small(spark, "completion_eval_ngram")) == 12
