@@ -721,3 +721,7 @@ def run_small(spark, name):
 
 def test_completion_eval_ngram_holds_no_table(spark, no_table):
     assert len(run_small(spark, "completion_eval_ngram")) == 12
+
+
+def test_ablation_size_holds_no_table(spark, no_table):
+    assert len(run_small(spark, "ablation_size")) == 24
