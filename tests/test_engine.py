@@ -727,5 +727,9 @@ def test_ablation_size_holds_no_table(spark, no_table):
     assert len(run_small(spark, "ablation_size")) == 24
 
 
+def test_ablation_dedup_holds_no_table(spark, no_table):
+    assert len(run_small(spark, "ablation_dedup")) == 24
+
+
 def test_completion_table_holds_no_table(spark, no_table):
     assert len(run_small(spark, "completion_table")) == 2
