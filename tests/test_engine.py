@@ -737,3 +737,7 @@ def test_completion_table_holds_no_table(spark, no_table):
 
 def test_completion_nucleus_holds_no_table(spark, no_table):
     assert len({r["example_id"] for r in run_small(spark, "completion_nucleus")}) == 500
+
+
+def test_ablation_objectives_repair_holds_no_table(spark, no_table):
+    assert len(run_small(spark, "ablation_objectives_repair")) == 10
