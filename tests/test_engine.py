@@ -739,5 +739,9 @@ def test_completion_nucleus_holds_no_table(spark, no_table):
     assert len({r["example_id"] for r in run_small(spark, "completion_nucleus")}) == 500
 
 
+def test_completion_modes_holds_no_table(spark, no_table):
+    assert len(run_small(spark, "completion_modes")) == 24
+
+
 def test_ablation_objectives_repair_holds_no_table(spark, no_table):
     assert len(run_small(spark, "ablation_objectives_repair")) == 10
