@@ -743,5 +743,14 @@ def test_completion_modes_holds_no_table(spark, no_table):
     assert len(run_small(spark, "completion_modes")) == 24
 
 
+def test_completion_modes_takes_all_reserved_formulas(spark, monkeypatch):
+    from cellwright.plans import eval_queries
+
+    seen = []
+    monkeypatch.setattr(eval_queries, "completion_scores", lambda train, held, systems: seen.append(held.count()))
+    eval_queries._modes(spark, SF)
+    assert seen == [eval_queries.EXAMPLES]
+
+
 def test_ablation_objectives_repair_holds_no_table(spark, no_table):
     assert len(run_small(spark, "ablation_objectives_repair")) == 10
